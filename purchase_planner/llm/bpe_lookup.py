@@ -270,19 +270,20 @@ def vocabulary_of(path: str) -> Vocabulary:
     return _loaded[path]
 
 
-def encode(spark: SparkSession, docs: DataFrame, path: str, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """The id column and `ids` array<int> of every text."""
+def encode(spark: SparkSession, docs: DataFrame, path: str, id_col: str = "doc_id", text_col: str = "text", carry: list[str] | None = None) -> DataFrame:
+    """The id column, the columns in carry, and `ids` array<int> of every text."""
     shared = spark.sparkContext.broadcast(vocabulary_of(path))
-    rows = docs.select(F.col(id_col).alias("id"), F.col(text_col).cast("string").alias("body"))
+    rows = docs.select(F.col(text_col).cast("string").alias("__body"), F.col(id_col), *(carry or []))
+    kinds = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in rows.schema.fields[1:])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            for i, j, data, offsets in tx.each_slice(batch.column(1)):
+            for i, j, data, offsets in tx.each_slice(batch.column(0)):
                 ids, where = encode_slice(shared.value, data, offsets)
                 lists = pa.ListArray.from_arrays(pa.array(where, pa.int32()), pa.array(ids, pa.int32()))
-                yield pa.RecordBatch.from_arrays([batch.column(0)[i:j], lists], ["id", "ids"])
+                yield pa.RecordBatch.from_arrays([*(batch.column(k)[i:j] for k in range(1, batch.num_columns)), lists], [*batch.schema.names[1:], "ids"])
 
-    return rows.mapInArrow(run, f"id {rows.schema['id'].dataType.simpleString()}, ids array<int>").withColumnRenamed("id", id_col)
+    return rows.mapInArrow(run, f"{kinds}, ids array<int>")
 
 
 def decode(spark: SparkSession, encoded: DataFrame, path: str, id_col: str = "doc_id", ids_col: str = "ids") -> DataFrame:

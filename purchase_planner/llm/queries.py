@@ -5,7 +5,8 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import bpe_lookup, curriculum, gif_media, jaccard_regions, pii_disclosure, subword_quality, syncmers, url_aliases
+from . import bpe_lookup, curriculum, gif_media, html_layout, jaccard_regions, masked_lm, pii_disclosure, subword_quality, syncmers, url_aliases
+from ._shared import settle
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -52,3 +53,13 @@ def op10_disclosure_sanitiser(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def op4_jaccard_regions(spark: SparkSession, sf_dir: str) -> DataFrame:
     return jaccard_regions.groups(table(spark, sf_dir, "documents"), words=4, percent=85)
+
+
+def op3_layout_text(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return html_layout.texts(table(spark, sf_dir, "pages"))
+
+
+def op9_masked_lm(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = table(spark, sf_dir, "documents")
+    words = masked_lm.lexicon(settle(masked_lm.word_counts(docs)))
+    return masked_lm.score(docs, words, masked_lm.train(docs, words))
