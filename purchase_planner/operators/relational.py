@@ -127,7 +127,7 @@ def _case(spark, d):
 
 
 def _having(spark, d):
-    return t(spark, d, "orders").groupBy("o_custkey").agg(F.count("*").alias("n"), _r(F.avg("o_totalprice"), 4).alias("mean")).where("n >= 15")
+    return t(spark, d, "orders").groupBy("o_custkey").agg(F.count("*").alias("n"), _r(F.sum("o_totalprice"), 2).alias("total")).where("n >= 15")
 
 
 def _distinct(spark, d):
@@ -189,7 +189,7 @@ QUERIES = {
     "rel_semi_join": (_semi, "SELECT c_mktsegment, count(*) n FROM customer WHERE c_custkey IN (SELECT o_custkey FROM orders) GROUP BY ALL"),
     "rel_anti_join": (_anti, "SELECT event_type, count(*) n FROM events WHERE user_id NOT IN (SELECT c_custkey FROM customer) GROUP BY ALL"),
     "rel_left_outer": (_outer, "SELECT lang, count(*) n, count(quality) labelled, coalesce(sum(quality), 0)::BIGINT good FROM documents LEFT JOIN labels USING (doc_id) GROUP BY ALL"),
-    "rel_windows": (_window, "SELECT o_custkey, o_orderkey, row_number() OVER w rn, dense_rank() OVER (PARTITION BY o_custkey ORDER BY o_orderpriority) dr, round(sum(o_totalprice) OVER (PARTITION BY o_custkey ORDER BY o_orderdate, o_orderkey ROWS UNBOUNDED PRECEDING), 2) running, lag(o_orderkey) OVER w \"before\", lead(o_orderkey) OVER w \"after\", ntile(4) OVER w quarter FROM orders WHERE o_custkey < 50 WINDOW w AS (PARTITION BY o_custkey ORDER BY o_orderdate, o_orderkey)"),
+    "rel_windows": (_window, "SELECT o_custkey, o_orderkey, row_number() OVER w rn, dense_rank() OVER (PARTITION BY o_custkey ORDER BY o_orderpriority) dr, round(sum(o_totalprice) OVER (PARTITION BY o_custkey ORDER BY o_orderdate, o_orderkey ROWS UNBOUNDED PRECEDING), 2) running, lag(o_orderkey) OVER w \"before\", lead(o_orderkey) OVER w \"after\", ntile(4) OVER w AS quarter FROM orders WHERE o_custkey < 50 WINDOW w AS (PARTITION BY o_custkey ORDER BY o_orderdate, o_orderkey)"),
     "rel_top_k_per_group": (_topk, "SELECT p_brand, p_partkey, r FROM (SELECT *, row_number() OVER (PARTITION BY p_brand ORDER BY p_retailprice DESC, p_partkey) r FROM part) WHERE r <= 3"),
     "rel_grouping_sets": (_grouping, "SELECT o_orderstatus, o_orderpriority, count(*) n, round(sum(o_totalprice), 2) total FROM orders GROUP BY GROUPING SETS ((o_orderstatus, o_orderpriority), (o_orderstatus), ())"),
     "rel_cube": (_cube, "SELECT l_returnflag, l_linestatus, count(*) n FROM lineitem GROUP BY CUBE (l_returnflag, l_linestatus)"),
@@ -199,10 +199,10 @@ QUERIES = {
     "rel_salted_join": (_salted, "SELECT s_name, count(*) n, sum(l_quantity) quantity FROM lineitem JOIN supplier ON l_suppkey = s_suppkey GROUP BY ALL"),
     "rel_json": (_json, "SELECT json_extract_string(props, '$.k')::BIGINT % 10 k, count(*) n FROM events GROUP BY ALL"),
     "rel_set_operations": (_setops, "SELECT 'both' op, k FROM (SELECT c_nationkey::BIGINT k FROM customer INTERSECT SELECT s_nationkey::BIGINT FROM supplier) UNION ALL SELECT 'only_customer', k FROM (SELECT c_nationkey::BIGINT k FROM customer EXCEPT SELECT s_nationkey::BIGINT FROM supplier)"),
-    "rel_arrays": (_arrays, "SELECT vec_id, len(embedding)::INT dims, round(sqrt(list_sum(list_transform(embedding, x -> x::DOUBLE * x::DOUBLE))), 4) norm FROM embeddings"),
+    "rel_arrays": (_arrays, "SELECT vec_id, len(embedding)::INT dims, round(sqrt(list_sum(list_transform(embedding, lambda x: x::DOUBLE * x::DOUBLE))), 4) norm FROM embeddings"),
     "rel_dates": (_dates, "SELECT year(o_orderdate) y, quarter(o_orderdate) q, count(*) n FROM orders GROUP BY ALL"),
     "rel_case_filter": (_case, "SELECT CASE WHEN c_acctbal < 0 THEN 'debt' WHEN c_acctbal BETWEEN 0 AND 5000 THEN 'low' ELSE 'high' END band, count(*) n FROM customer WHERE c_mktsegment IN ('BUILDING', 'MACHINERY') OR c_name LIKE '%1' GROUP BY ALL"),
-    "rel_having": (_having, "SELECT o_custkey, count(*) n, round(avg(o_totalprice), 4) mean FROM orders GROUP BY o_custkey HAVING count(*) >= 15"),
+    "rel_having": (_having, "SELECT o_custkey, count(*) n, round(sum(o_totalprice), 2) total FROM orders GROUP BY o_custkey HAVING count(*) >= 15"),
     "rel_count_distinct": (_distinct, "SELECT l_returnflag, count(DISTINCT l_partkey) parts, count(DISTINCT (l_suppkey, l_linestatus)) pairs FROM lineitem GROUP BY ALL"),
     "rel_max_by": (_maxby, "SELECT o_orderpriority, arg_max(o_orderkey, (o_totalprice, o_orderkey)) dearest, arg_min(o_orderkey, (o_totalprice, o_orderkey)) cheapest FROM orders GROUP BY ALL"),
     "rel_set_projection": (_set_projection, "SELECT DISTINCT c_nationkey::BIGINT nationkey, c_mktsegment FROM customer"),

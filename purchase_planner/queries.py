@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 from collections.abc import Callable, Sequence
+from dataclasses import replace
 
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
@@ -163,7 +164,7 @@ def joint_quality_part(spark: SparkSession, d: str) -> DataFrame:
 JOINED_FDS = [FD(("nationkey",), "c_regionkey"), FD(("nationkey",), "s_regionkey")]
 
 
-@query(star_sql(f"SELECT 'dirty' kind, round({sql_joint('j', JOINED_FDS)}, 6) quality, round({sql_quality('j', JOINED_FDS[0])}, 6) first, round({sql_quality('j', JOINED_FDS[1])}, 6) second", "j AS (SELECT nationkey, c_regionkey, s_regionkey FROM d_customer JOIN (SELECT nationkey, s_regionkey FROM d_supplier) USING (nationkey))"))
+@query(star_sql(f"SELECT 'dirty' kind, round({sql_joint('j', JOINED_FDS)}, 6) quality, round({sql_quality('j', JOINED_FDS[0])}, 6) first, round({sql_quality('j', JOINED_FDS[1])}, 6) other", "j AS (SELECT nationkey, c_regionkey, s_regionkey FROM d_customer JOIN (SELECT nationkey, s_regionkey FROM d_supplier) USING (nationkey))"))
 def join_quality_customer_supplier(spark: SparkSession, d: str) -> DataFrame:
     """Quality of a join result, jointly and singly, with eager aggregation below the join."""
     t = star_tables(spark, d, dirty=True)
@@ -171,7 +172,7 @@ def join_quality_customer_supplier(spark: SparkSession, d: str) -> DataFrame:
     b = M.counted(t["supplier"], ["nationkey", "s_regionkey"]).withColumnRenamed(M.W, "v")
     j = a.join(b, "nationkey").withColumn(M.W, F.col(M.W) * F.col("v")).drop("v")
     one = M.joint_quality_df(j, JOINED_FDS, M.W)
-    one = one.crossJoin(M.fd_quality_df(j, JOINED_FDS[0], M.W).toDF("first")).crossJoin(M.fd_quality_df(j, JOINED_FDS[1], M.W).toDF("second"))
+    one = one.crossJoin(M.fd_quality_df(j, JOINED_FDS[0], M.W).toDF("first")).crossJoin(M.fd_quality_df(j, JOINED_FDS[1], M.W).toDF("other"))
     return rounded(one.select(F.lit("dirty").alias("kind"), "*"))
 
 
@@ -443,10 +444,12 @@ def _swapped(x: str, plan: TargetGraph) -> str:
     return "+".join(dict(plan.edges)[edge])
 
 
-def _graph(spark: SparkSession, d: str, tree: frozenset, drop: dict[str, Sequence[str]] | None = None) -> G.JoinGraph:
-    """The graph over the instances of a pinned tree only; other edges' choices are left to what the workload varies."""
-    m = star_marketplace(spark, d)
-    return G.build(m.restricted(sorted({v for e in tree for v in e})))
+def _graph(spark: SparkSession, d: str, tree: frozenset) -> G.JoinGraph:
+    """The graph over the instances of a pinned tree only; the third workload varies one edge, so the other bridge is left out."""
+    m = star_marketplace(spark, d).restricted(sorted({v for e in tree for v in e}))
+    if tree == X3[1]:
+        m = Marketplace({n: replace(i, df=i.df.drop("xj_g")) for n, i in m.instances.items()})
+    return G.build(m)
 
 
 def _workload_plans(spark: SparkSession, d: str, x: str) -> tuple[Q.Evaluator, list[TargetGraph]]:
@@ -479,7 +482,7 @@ for _x in _JOINS:
         """The same under an informativeness limit of 0.5: the strongest plan is out of reach."""
         evaluator, plans = _workload_plans(spark, d, x)
         request, tree = {"x1": X1, "x2": X2, "x3": X3}[x]
-        request = Q.replace(request, alpha=0.5)
+        request = replace(request, alpha=0.5)
         best = Q.exhaustive(evaluator.graph, request, len(tree) + 1, Q.Evaluator(evaluator.graph, request), tree)
         return spark.createDataFrame([(_swapped(x, best.graph), round(best.score.corr, 6), round(best.score.weight, 6))], "j string, corr double, weight double")
 
@@ -543,7 +546,7 @@ def emitted_sql_runs(spark: SparkSession, d: str) -> DataFrame:
 def acquire_x1(spark: SparkSession, d: str) -> DataFrame:
     """The whole planner for the first workload: landmarks, light tree, walk, emitted SQL."""
     graph = G.build(star_marketplace(spark, d).restricted(["customer", "nation", "orders", "region", "supplier"]))
-    plan = Q.acquire(graph, Q.replace(X1[0], alpha=1.0), iterations=40, seed=3)
+    plan = Q.acquire(graph, replace(X1[0], alpha=1.0), iterations=40, seed=3)
     s = plan.score
     return spark.createDataFrame([(plan.status, plan.graph.label(), plan.igraph_size, s.corr, s.quality, s.weight, s.price, "; ".join(Q.emit_sql(plan.graph, graph.market)))], "status string, plan string, igraph_size int, corr double, quality double, ji double, price double, purchase string")
 
@@ -552,7 +555,7 @@ def acquire_x1(spark: SparkSession, d: str) -> DataFrame:
 def acquire_statuses(spark: SparkSession, d: str) -> DataFrame:
     """The outcomes of requests that cannot be met, beside one that can."""
     graph = _graph(spark, d, X1[1])
-    cases = {"free": X1[0], "poor": Q.replace(X1[0], budget=10.0), "cheap": Q.replace(X1[0], budget=20.0), "strict": Q.replace(X1[0], alpha=-1.0), "pure": Q.replace(X1[0], beta=1.1)}
+    cases = {"free": X1[0], "poor": replace(X1[0], budget=10.0), "cheap": replace(X1[0], budget=20.0), "strict": replace(X1[0], alpha=-1.0), "pure": replace(X1[0], beta=1.1)}
     return spark.createDataFrame([(k, Q.acquire(graph, r, 30, 1).status) for k, r in cases.items()], "request string, status string")
 
 
