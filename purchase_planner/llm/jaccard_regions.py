@@ -11,7 +11,7 @@ one. Levels recur until every document has been compared with all that may lie w
 
 What keeps this linear in the input: equal sets are one representative; a representative with more than r * n shingles
 that occur nowhere else is linked to nothing (first judged on a fixed share of the hash range, then on all shingles of
-the rest), which takes two combinable counts and no pairs; region members are dealt by salts of at most MEMBERS, with the
+the rest), which takes two combinable counts and no pairs; region members are dealt by salts of about MEMBERS, with the
 pivots replicated to each salt.
 
 Words are [^\\x20\\x09-\\x0D]+ after lower-casing A-Z; shingles are told apart by 64-bit hashes, sets by 128 further bits.
@@ -24,11 +24,12 @@ empty result; only the id and text columns are read.
 from __future__ import annotations
 
 from collections.abc import Iterator
+from functools import reduce
 
 import numpy as np
 import pandas as pd
 import pyarrow as pa
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from . import _text as tx
@@ -36,7 +37,8 @@ from ._shared import Settled, settle
 from .components import components
 
 U = np.uint64
-MEMBERS = 64
+MEMBERS, PIVOTS, MOST, CHUNK = 64, 8, 4096, 128
+GROUP = ["region", "salt", "chunk"]
 #: A table of at most so many ids is broadcast (16 bytes a row and the hash table); a larger one is joined by shuffle.
 BROADCAST_IDS = 1_000_000
 
@@ -91,7 +93,7 @@ def _exploded(sets: DataFrame) -> DataFrame:
         for batch in batches:
             data, offsets = tx.utf8(batch.column(2))
             counts = np.diff(offsets) // 8
-            for i, j in tx.slices(offsets, 4 << 20):
+            for i, j in tx.slices(offsets):
                 s = np.frombuffer(data[offsets[i] : offsets[j]].tobytes(), np.int64)
                 ids, n = (np.repeat(batch.column(k).to_numpy(zero_copy_only=False)[i:j], counts[i:j]) for k in (0, 1))
                 yield pa.RecordBatch.from_arrays([pa.array(s), pa.array(ids, pa.int64()), pa.array(n, pa.int64())], ["s", "id", "n"])
@@ -138,71 +140,112 @@ def compare(pivots: pd.DataFrame, members: pd.DataFrame, percent: int) -> tuple[
     return links, distance
 
 
-def _links(members: Settled, percent: int) -> DataFrame:
-    """(src, dst) links that connect all linked members of each region; members: region, id, n, part."""
+def _compared(dealt: DataFrame, percent: int) -> DataFrame:
+    """Rows of members and pivots, dealt by (region, salt, chunk), as members with their links and distances.
+
+    Groups are small, so a task takes many of them from its sorted rows; one that goes on in the next batch waits for it.
+    """
+
+    def group(rows: pd.DataFrame) -> tuple[pd.DataFrame, list, np.ndarray, np.ndarray]:
+        as_pivot = rows["as_pivot"].to_numpy()
+        left, right = rows[~as_pivot], rows[as_pivot]
+        links, distance = compare(right, left, percent)
+        return left, links, distance, np.isin(left["id"].to_numpy(), right["id"].to_numpy())
+
+    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        held: list[pd.DataFrame] = []
+
+        def out(rows: pd.DataFrame) -> Iterator[pd.DataFrame]:
+            mark = reduce(lambda x, y: x | y, (rows[k].ne(rows[k].shift()) for k in GROUP))
+            at = np.append(np.flatnonzero(mark.to_numpy()), len(rows))
+            done = [group(rows.iloc[a:b]) for a, b in zip(at[:-1], at[1:], strict=True)]
+            done = [d for d in done if len(d[0])]
+            if done:
+                left = pd.concat([d[0] for d in done])
+                yield pd.DataFrame({"region": left["region"].to_numpy(), "id": left["id"].to_numpy(), "linked": [x for d in done for x in d[1]], "far": np.concatenate([d[2] for d in done]), "pivot": np.concatenate([d[3] for d in done]), "active": left["active"].to_numpy(), "large": left["large"].to_numpy()})
+
+        for batch in batches:
+            if len(batch):
+                held.append(batch)
+                rows = pd.concat(held)
+                same = reduce(lambda x, y: x & y, (rows[k] == batch[k].iloc[-1] for k in GROUP)).to_numpy()
+                if not same.all():
+                    yield from out(rows[~same])
+                    rows = rows[same]
+                held = [rows]
+        if held:
+            yield from out(held[0])
+
+    return dealt.mapInPandas(run, "region long, id long, linked array<long>, far double, pivot boolean, active boolean, large boolean")
+
+
+def _links(sets: DataFrame, percent: int) -> DataFrame | None:
+    """(src, dst) links that connect all linked sets; sets: written table of id, n, part.
+
+    A level cuts the sets into regions. A region of up to MEMBERS is finished at once, all of it being pivots; a larger one
+    gets PIVOTS, which resolve tight groups cheaply. What they do not resolve, and the resolved sets within its reach, are
+    the next level's sets: fewer shingles are shared among them, so they fall into smaller regions, or can be linked to
+    nothing that is left. What stays large then gets up to MOST pivots, in chunks of CHUNK, so that no task compares more
+    than about MEMBERS sets with CHUNK pivots; pairs are compared there, never emitted unless they are linked.
+    """
     reach = (100 - percent) / 100
     found: DataFrame | None = None
-    state = members.df.withColumn("active", F.lit(True))
-    level, held = 0, members
+    state, level = sets.withColumn("active", F.lit(True)), 0
     while True:
-        counts = state.groupBy("region").agg(F.count("*").alias("c"), F.sum(F.col("active").cast("int")).alias("a"))
-        counts = settle(counts.where("a > 0"))  # one row a region
-        if not counts.limit(1).count():
-            break
-        # few unresolved members: all are pivots and the region is done; many: one pivot first, then MEMBERS a level
-        most = 1 if level == 0 else MEMBERS
-        sized = state.join(counts, "region")
+        members = Settled(regions(state, percent))
+        if not members.df.limit(1).count():
+            return found
+        counts = members.df.groupBy("region").agg(F.count("*").alias("c"), F.sum(F.col("active").cast("int")).alias("a")).where("a > 0")
+        sized = members.df.join(counts, "region").withColumn("large", F.col("a") > MEMBERS)
+        most = MOST if level else PIVOTS
         salts = F.ceil(F.col("c") / MEMBERS).cast("int")
-        by_id = Window.partitionBy("region").orderBy("id")
-        small, large = sized.where(f"active and a <= {MEMBERS}"), sized.where(f"active and a > {MEMBERS}")
-        if most == 1:  # no window over a large region
-            least = large.groupBy("region").agg(F.min("id").alias("id"))
-            chosen = large.join(least, ["region", "id"], "left_semi")
-        else:
-            # ranks within salts first, so that no task sorts a whole region
-            local = Window.partitionBy("region", F.pmod(F.hash("id"), salts)).orderBy("id")
-            front = large.withColumn("r", F.row_number().over(local)).where(f"r <= {MEMBERS}").drop("r")
-            ids = front.select("region", "id").withColumn("r", F.row_number().over(by_id)).where(f"r <= {MEMBERS}").select("region", "id")
-            chosen = large.join(ids, ["region", "id"], "left_semi")
-        pivots = small.select("region", "id", "n", "part", "c").unionByName(chosen.select("region", "id", "n", "part", "c"))
-        pivots = pivots.withColumn("salt", F.explode(F.sequence(F.lit(0), salts - 1)))
-        pivots = pivots.select("region", "salt", "id", "n", "part", F.lit(True).alias("active"), F.lit(0).cast("long").alias("a"), F.lit(True).alias("as_pivot"))
-        dealt = sized.select("region", F.pmod(F.hash("id"), salts).alias("salt"), "id", "n", "part", "active", "a", F.lit(False).alias("as_pivot"))
-
-        def run(both: pd.DataFrame) -> pd.DataFrame:
-            left, right = both[~both["as_pivot"]], both[both["as_pivot"]]
-            if not len(left):  # a salt without members
-                return pd.DataFrame({c: pd.Series([], dtype=object) for c in ("region", "id", "linked", "far", "pivot", "active", "left")})
-            links, distance = compare(right, left, percent)
-            return pd.DataFrame({"region": left["region"], "id": left["id"], "linked": links, "far": distance, "pivot": left["id"].isin(right["id"]), "active": left["active"], "left": left["a"] > MEMBERS})
-
-        done = Settled(dealt.unionByName(pivots).groupBy("region", "salt").applyInPandas(run, "region long, id long, linked array<long>, far double, pivot boolean, active boolean, left boolean"))
+        chunks = F.when(F.col("large") & F.lit(level > 0), F.ceil(F.least(F.col("a"), F.lit(most)) / CHUNK)).otherwise(F.lit(1)).cast("int")
+        sized = sized.withColumn("salts", salts).withColumn("chunks", chunks)
+        columns = ["region", "id", "n", "part", "salts", "chunks"]
+        # the pivots of a large region: the least ids of shares of it, so that no task sees the whole region
+        share = F.pmod(F.hash("id"), F.lit(most)).alias("share")
+        least = sized.where("active and large").groupBy("region", share).agg(F.min("id").alias("id")).select("region", "id")
+        chosen = sized.where("active and not large").select(*columns).unionByName(sized.where("large").join(least, ["region", "id"], "left_semi").select(*columns))
+        pivots = chosen.withColumn("chunk", F.pmod(F.hash("id", F.lit(1)), F.col("chunks"))).withColumn("salt", F.explode(F.sequence(F.lit(0), F.col("salts") - 1)))
+        pivots = pivots.select(*GROUP, "id", "n", "part", F.lit(True).alias("active"), F.lit(False).alias("large"), F.lit(True).alias("as_pivot"))
+        dealt = sized.withColumn("salt", F.pmod(F.hash("id"), F.col("salts"))).withColumn("chunk", F.explode(F.sequence(F.lit(0), F.col("chunks") - 1)))
+        dealt = dealt.select(*GROUP, "id", "n", "part", "active", "large", F.lit(False).alias("as_pivot")).unionByName(pivots)
+        done = Settled(_compared(dealt.repartition(*GROUP).sortWithinPartitions(*GROUP), percent))
         new = done.df.where(F.size("linked") > 0).select(F.col("id").alias("src"), F.explode("linked").alias("dst"))
         found = new if found is None else found.unionByName(new)
         # what goes on: unresolved members, and resolved ones that may still be linked to one of them
-        after = done.df.where("left").withColumn("active", F.expr("active and not pivot and size(linked) = 0"))
+        after = done.df.where("large").groupBy("region", "id").agg(F.min(F.expr("active and not pivot and size(linked) = 0").cast("int")).alias("every"), F.min("far").alias("far"))
+        after = after.select("region", "id", (F.col("every") == 1).alias("active"), "far")
         nearest = after.where("active").groupBy("region").agg(F.min("far").alias("nearest"))
-        after = after.join(nearest, "region").where(F.col("active") | (F.col("far") >= F.col("nearest") - reach - 1e-9)).select("region", "id", "active")
-        old = held
-        held = Settled(old.df.select("region", "id", "n", "part").join(after, ["region", "id"]))
-        if old is not members:
-            old.drop()
-        state = held.df
+        within = F.col("active") | (F.col("far") >= F.col("nearest") - reach - 1e-9) if level == 0 else F.lit(True)
+        after = after.join(nearest, "region").where(within).select("id", "active")
+        left = Settled(members.df.select("id", "n", "part").join(after, "id"))
+        members.drop()
+        if not left.df.limit(1).count():
+            return found
+        # an unresolved set with too many shingles of its own among what is left is done
+        state = settle(left.df.join(_lone(left.df), "id", "left").where(~F.col("active") | _open(percent)).select("id", "n", "part", "active"))
+        left.drop()
         level += 1
-    return found if found is not None else members.df.select(F.col("id").alias("src"), F.col("id").alias("dst")).limit(0)
+
+
+def _open(percent: int) -> Column:
+    """Whether a set has few enough lone shingles to be linked to anything."""
+    return F.coalesce(F.col("lone"), F.lit(0)) * 100 <= F.col("n") * (100 - percent)
 
 
 def regions(sets: DataFrame, percent: int) -> DataFrame:
-    """region, id, n, part of the sets that share a cell with another; sets: written table of id, n, part."""
-    rows = _exploded(sets).withColumn("df", F.count("*").over(Window.partitionBy("s"))).where("df > 1")
+    """region, id, n, part, active of the sets that share a cell with another; sets: written table of id, n, part, active."""
+    rows = _exploded(sets)
+    often = rows.groupBy("s").agg(F.count("*").alias("df")).where("df > 1")
     # a shingle of its own comes first in the order of rarity, so it takes a place of the window
     order = Window.partitionBy("id").orderBy("df", "s")
     window = F.floor(F.col("n") * (100 - percent) / 100) + 1
-    ranked = rows.withColumn("r", F.row_number().over(order)).withColumn("shared", F.count("*").over(Window.partitionBy("id")))
-    cells = ranked.where(F.col("r") <= window - (F.col("n") - F.col("shared"))).select("s", "id")
-    stars = settle(cells.withColumn("hub", F.min("id").over(Window.partitionBy("s"))).where("id <> hub").select(F.col("id").alias("src"), F.col("hub").alias("dst")).distinct())
-    of = components(stars)
-    return of.select(F.col("node").alias("id"), F.col("component").alias("region")).join(sets, "id").select("region", "id", "n", "part")
+    ranked = rows.join(often, "s").withColumn("r", F.row_number().over(order)).withColumn("shared", F.count("*").over(Window.partitionBy("id")))
+    cells = settle(ranked.where(F.col("r") <= window - (F.col("n") - F.col("shared"))).select("s", "id"))
+    hubs = cells.groupBy("s").agg(F.min("id").alias("hub"), F.count("*").alias("c")).where("c > 1")
+    of = components(cells.join(hubs, "s").where("id <> hub").select(F.col("id").alias("src"), F.col("hub").alias("dst")))
+    return of.select(F.col("node").alias("id"), F.col("component").alias("region")).join(sets, "id").select("region", "id", "n", "part", "active")
 
 
 def groups(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", words: int = 5, percent: int = 80) -> DataFrame:
@@ -211,24 +254,40 @@ def groups(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", word
     below = min(int(share * (1 << 64)), (1 << 64) - 1)
     base = Settled(_table(docs, id_col, text_col, words, below))
     keys = ["n", "f1", "f2"]
-    classes = settle(base.df.where("n > 0").groupBy(*keys).agg(F.min("id").alias("rep")))
+    # a class is named by f1, 64 bits of its set; its representative is the smallest id, a null one coming last
+    last = F.lit((1 << 63) - 1)
+    rows = base.df.where("n > 0").withColumn("at", F.coalesce("id", last))
+    classes = settle(rows.groupBy(*keys).agg(F.min("at").alias("rep"), F.count("*").alias("copies")))
+    named = classes.select(F.col("rep").alias("at"), F.col("f1").alias("id"))
+    firsts = Settled(rows.select("at", F.col("f1").alias("id"), "n", "part").join(_few(named), ["at", "id"], "left_semi").select("id", "n", "part"))
+    firsts = _single(firsts, classes)
     # representatives with more lone shingles than a link allows are done
-    firsts = base.df.join(_few(classes.where("rep is not null").select(F.col("rep").alias("id"))), "id", "left_semi").where("n > 0").dropDuplicates(["id"])
-    firsts = settle(firsts.select("id", "n", "part"))
-    open_ = F.coalesce(F.col("lone"), F.lit(0)) * 100 <= F.col("n") * (100 - percent)
-    suspects = settle(firsts.join(_lone(firsts), "id", "left").where(open_).select("id"))
-    again = docs.withColumn("__id", F.col(id_col).cast("long")).join(_few(suspects.select(F.col("id").alias("__id"))), "__id", "left_semi")
-    sets = settle(_table(again, "__id", text_col, words, None).where("n > 0").dropDuplicates(["id"]).select("id", "n", "part"))
+    suspects = settle(firsts.join(_lone(firsts), "id", "left").where(_open(percent)).select("id").join(classes.select(F.col("f1").alias("id"), "rep"), "id"))
+    where = F.coalesce(F.col(id_col).cast("long"), last)
+    again = docs.withColumn("__id", where).join(_few(suspects.select(F.col("rep").alias("__id")).distinct()), "__id", "left_semi")
+    sets = _table(again, "__id", text_col, words, None).where("n > 0").select(F.col("f1").alias("id"), "n", "part")
+    sets = _single(Settled(sets.join(_few(suspects.select("id")), "id", "left_semi")), suspects)
     # the same count over all shingles of the suspects
-    rest = settle(sets.join(_lone(sets), "id", "left").where(open_).select("id", "n", "part"))
-    members = Settled(regions(rest, percent))
-    linked = components(_links(members, percent))
-    label = F.coalesce("component", "rep")
-    of_class = settle(classes.join(linked, F.col("rep") == F.col("node"), "left").select(*keys, label.alias("component_id")))
+    rest = settle(sets.join(_lone(sets), "id", "left").where(_open(percent)).select("id", "n", "part"))
+    links = _links(rest, percent)
+    label = F.col("rep")
+    named = classes
+    if links is not None:
+        linked = components(links)
+        named = classes.join(linked, F.col("f1") == F.col("node"), "left")
+        least = named.where("component is not null").groupBy("component").agg(F.min("rep").alias("least"))
+        named = named.join(least, "component", "left")
+        label = F.coalesce("least", "rep")
+    of_class = settle(named.select(*keys, F.nullif(label, last).alias("component_id")))
     out = base.df.select("id", *keys).join(of_class, keys, "left")
     return out.select(F.col("id").alias(id_col), F.col("n").alias("n_shingles"), F.coalesce("component_id", "id").alias("component_id"))
 
 
+def _single(sets: Settled, named: DataFrame) -> DataFrame:
+    """One row a class; several rows of one id and text are rare, so only then are the sets dealt by class."""
+    return sets.df if sets.df.count() == named.count() else settle(sets.df.dropDuplicates(["id"]))
+
+
 def deduplicated(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", words: int = 5, percent: int = 80) -> DataFrame:
     """docs with one document of each group: the one of smallest id. Rows without an id or without words all stay."""
     of = settle(groups(docs, id_col, text_col, words, percent))
