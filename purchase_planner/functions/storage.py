@@ -5,11 +5,14 @@ from __future__ import annotations
 import atexit
 import shutil
 import tempfile
+import threading
 import uuid
+from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
 _own: list[str] = []
+_open = threading.local()  # .scopes: the tables settled within each running settle_last
 
 
 def folder(spark: SparkSession) -> str:
@@ -31,6 +34,8 @@ class Settled:
         self.path = f"{folder(self.spark)}/table-{uuid.uuid4().hex}"
         df.write.parquet(self.path)
         self.df = self.spark.read.schema(df.schema).parquet(self.path)
+        if getattr(_open, "scopes", None):
+            _open.scopes[-1].append(self)
 
     def drop(self) -> None:
         path = self.spark._jvm.org.apache.hadoop.fs.Path(self.path)
@@ -39,3 +44,20 @@ class Settled:
 
 def settle(df: DataFrame) -> DataFrame:
     return Settled(df).df
+
+
+def settle_last(make: Callable[[], DataFrame]) -> DataFrame:
+    """What `make` gives, written; the tables settled on the way are dropped, since only the written one is read from now on."""
+    if not hasattr(_open, "scopes"):
+        _open.scopes = []
+    _open.scopes.append([])
+    out = None
+    try:
+        out = Settled(make())
+    finally:
+        for table in _open.scopes.pop():
+            if table is not out:
+                table.drop()
+    if _open.scopes:
+        _open.scopes[-1].append(out)
+    return out.df
