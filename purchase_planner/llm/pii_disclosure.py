@@ -142,7 +142,8 @@ def disclosing_terms(docs: DataFrame, base: DataFrame, text_col: str = "text") -
     pairs = settle(pairs.join(counts, "entity"))
     wanted = _small(settle(pairs.select("term").distinct()))
     words = F.explode(F.array_distinct(F.regexp_extract_all(F.lower(F.col(text_col).cast("string")), F.lit(WORD), F.lit(0))))
-    frequency = docs.select(words.alias("term")).where(F.length("term") >= SHORTEST).join(wanted, "term").groupBy("term").agg(F.count("*").alias("n_term"))
+    # counted before the join, so that the join has a row a term and not one a term and document
+    frequency = docs.select(words.alias("term")).where(F.length("term") >= SHORTEST).groupBy("term").agg(F.count("*").alias("n_term")).join(wanted, "term")
     n = F.lit(float(max(documents, 2)))
     content = F.log2(n / F.least(F.col("n_entity"), n - 1))
     share = F.least(F.lit(1.0), F.col("together") / F.col("n_term"))
