@@ -1,5 +1,5 @@
 """Storage of the library, under the name that this subpackage uses."""
 
-from ..functions.storage import Settled, folder, settle
+from ..functions.storage import Settled, folder, settle, settle_last
 
-__all__ = ["Settled", "folder", "settle"]
+__all__ = ["Settled", "folder", "settle", "settle_last"]

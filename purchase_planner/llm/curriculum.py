@@ -22,7 +22,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from ._shared import settle
+from ._shared import settle, settle_last
 
 WEIGHTS, SHARE, MOST, BUCKETS = (5.0, 2.0, 1.0), 1.5, 2, 1024
 #: Slopes of the schedules, repeating over sources: rising, even, falling.
@@ -104,12 +104,15 @@ def mixed(docs: DataFrame, weights: tuple[float, ...] = WEIGHTS, share: float =
 
     Keeps the columns of docs, whose last copy of a source may be cut; n_chars, where there, follows the cut.
     """
-    taken = _plan(_streams(docs, weights, share, most), most).where("taken > 0")
-    done = (F.col("before") + F.col("pass") * F.col("source_size")) / F.col("target")
-    entries = taken.select("doc_id", "tie", "before", "source_size", "target", "slope", "size", F.posexplode("passes").alias("pass", "words")).where("words > 0")
-    entry = F.struct("before", "pass", "words", "size", position(done, F.col("slope")).alias("position"))
-    per = entries.groupBy(F.col("doc_id").alias("d"), F.col("tie").alias("t")).agg(F.sort_array(F.collect_list(entry)).alias("entries"), F.countDistinct("before").alias("rows"))
-    chosen = settle(per)  # a row a taken document, without its text
+
+    def per_document() -> DataFrame:
+        taken = _plan(_streams(docs, weights, share, most), most).where("taken > 0")
+        done = (F.col("before") + F.col("pass") * F.col("source_size")) / F.col("target")
+        entries = taken.select("doc_id", "tie", "before", "source_size", "target", "slope", "size", F.posexplode("passes").alias("pass", "words")).where("words > 0")
+        entry = F.struct("before", "pass", "words", "size", position(done, F.col("slope")).alias("position"))
+        return entries.groupBy(F.col("doc_id").alias("d"), F.col("tie").alias("t")).agg(F.sort_array(F.collect_list(entry)).alias("entries"), F.countDistinct("before").alias("rows"))
+
+    chosen = settle_last(per_document)  # a row a taken document, without its text
     text = F.col("text").cast("string")
     same = F.col("doc_id").eqNullSafe(F.col("d")) & (F.xxhash64(text) == F.col("t"))
     out = docs.join(chosen.where("rows = 1"), same).withColumn("entry", F.explode("entries"))

@@ -33,7 +33,7 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from . import _text as tx
-from ._shared import Settled, settle
+from ._shared import Settled, settle, settle_last
 from .components import components
 
 U = np.uint64
@@ -290,7 +290,7 @@ def _single(sets: Settled, named: DataFrame) -> DataFrame:
 
 def deduplicated(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", words: int = 5, percent: int = 80) -> DataFrame:
     """docs with one document of each group: the one of smallest id. Rows without an id or without words all stay."""
-    of = settle(groups(docs, id_col, text_col, words, percent))
+    of = settle_last(lambda: groups(docs, id_col, text_col, words, percent))
     gone = settle(of.where(F.col(id_col) != F.col("component_id")).select(id_col).distinct())
     out = docs.join(_few(gone), id_col, "left_anti")
     twice = settle(of.where((F.col(id_col) == F.col("component_id")) & (F.col("n_shingles") > 0)).groupBy(id_col).count().where("count > 1").select(id_col))

@@ -19,7 +19,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from ._shared import settle
+from ._shared import settle, settle_last
 
 KINDS = ("email", "ip", "card", "phone")
 SUPPORT, GENERALISE, REMOVE, NEAR, SHORTEST = 2, 0.75, 0.9, 4, 4
@@ -188,13 +188,16 @@ def report(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> D
 
 def sanitised(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """docs with personal data replaced by its kind, disclosing terms generalised or removed; n_chars, where there, follows."""
-    base = base_table(docs, id_col, text_col)
-    terms = disclosing_terms(docs, base, text_col)
-    wanted = base.where(F.size("base") > 0).select("key", "base").dropDuplicates(["key"]).join(terms, "key", "left")
+
+    def spans_and_terms() -> DataFrame:
+        base = base_table(docs, id_col, text_col)
+        return base.where(F.size("base") > 0).select("key", "base").dropDuplicates(["key"]).join(disclosing_terms(docs, base, text_col), "key", "left")
+
+    wanted = settle_last(spans_and_terms)
     marked = docs.withColumn("__body", F.coalesce(F.col(text_col).cast("string"), F.lit(""))).withColumn("key", F.xxhash64(F.col(id_col), F.col("__body")))
     names = [f"__{i}" for i in range(len(docs.columns))]
     renamed = marked.select(*[F.col(c).alias(n) for c, n in zip(docs.columns, names, strict=True)], "key", "__body")
-    rows = _term_spans(renamed.join(_small(settle(wanted)), "key", "left").withColumn("base", F.coalesce("base", F.array().cast("array<struct<kind:string,start:int,end:int>>"))), "__body")
+    rows = _term_spans(renamed.join(_small(wanted), "key", "left").withColumn("base", F.coalesce("base", F.array().cast("array<struct<kind:string,start:int,end:int>>"))), "__body")
     word = lambda z: F.when(z["disclosure"] >= REMOVE, F.lit("")).when(F.substring(F.col("__body"), z["start"] + 1, F.lit(1)).rlike(r"\p{Lu}"), F.lit("[NAME]")).otherwise(F.lit("[WORD]"))
     cuts = F.concat(
         F.transform("base", lambda z: F.struct(z["start"].alias("start"), z["end"].alias("end"), F.concat(F.lit("["), F.upper(z["kind"]), F.lit("]")).alias("by"))),

@@ -8,6 +8,7 @@ import pyarrow as pa
 import pytest
 from pyspark.sql import functions as F
 
+from purchase_planner.functions import storage
 from purchase_planner.llm import _text as tx
 from purchase_planner.llm import bpe_lookup, curriculum, gif_media, html_layout, jaccard_regions, masked_lm, pii_disclosure, queries, subword_quality, syncmers, url_aliases
 from purchase_planner.llm.components import components
@@ -302,3 +303,21 @@ def test_word_count_and_checksums(spark):
     assert [r[0] for r in df.select(curriculum.n_words(F.col("t"))).collect()] == [len(re.findall(r"[^\x20\x09-\x0D]+", "a b c\td\x0be")), 0, 0]
     assert spark.range(10).where(subword_quality.held_out("id")).count() == sum(zlib.crc32(str(i).encode()) % 5 == 0 for i in range(10))
     assert unicodedata.category("a")[0] == "L"
+
+
+def test_intermediate_tables_are_dropped(spark, odd, monkeypatch, tmp_path):
+    monkeypatch.setattr(storage, "folder", lambda _: f"file://{tmp_path}")
+    for f, kept in ((jaccard_regions.deduplicated, 3), (curriculum.mixed, 1), (pii_disclosure.sanitised, 1)):
+        before = set(tmp_path.glob("table-*"))
+        out = f(odd)
+        assert len(set(tmp_path.glob("table-*")) - before) <= kept, f
+        assert out.columns == odd.columns and out.count() > 0
+    before = set(tmp_path.glob("table-*"))
+
+    def fails():
+        storage.settle(odd)
+        raise ValueError
+
+    with pytest.raises(ValueError):
+        storage.settle_last(fails)
+    assert set(tmp_path.glob("table-*")) == before
