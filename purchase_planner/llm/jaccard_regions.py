@@ -4,10 +4,11 @@ Jaccard distance is a metric, but unrelated documents are all at distance 1 from
 documents alone would put nearly all documents on every boundary. The first level therefore takes one-shingle sets as
 pivots: a document's nearest pivots are its own rarest shingles, and the boundary window is exact - two documents within
 distance r share one of the n - ceil((1 - r) n) + 1 rarest shingles of each, so a document is replicated to the cells of
-these. Cells that share documents make a region. Within a region, documents are the pivots: a document within r of a
-pivot is linked and resolved with it; one farther than 2r from it can be linked to nothing that the pivot resolved; and a
-resolved document is carried to the next level only if the triangle inequality leaves it within reach of an unresolved
-one. Levels recur until every document has been compared with all that may lie within r.
+these. Cells that share documents make a region. Within a region, documents are the pivots, each compared with the whole
+region and then done. Documents that are linked so far carry one label, and only pairs of different labels are left to
+test: a shingle that is in sets of one label alone can be shared with no other label, so it counts as a set's own, cells
+of one label fall away, and a set with more than r * n such shingles is done. Levels recur until every pair that may lie
+within r has been compared or is connected already.
 
 What keeps this linear in the input: equal sets are one representative; a representative with more than r * n shingles
 that occur nowhere else is linked to nothing (first judged on a fixed share of the hash range, then on all shingles of
@@ -87,18 +88,19 @@ def _table(docs: DataFrame, id_col: str, text_col: str, words: int, below: int |
 
 
 def _exploded(sets: DataFrame) -> DataFrame:
-    """(s, id, n): one row a shingle."""
+    """(s, id, n), and label if there is one: one row a shingle."""
+    names = [c for c in ("id", "n", "label") if c in sets.columns]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            data, offsets = tx.utf8(batch.column(2))
+            data, offsets = tx.utf8(batch.column(len(names)))
             counts = np.diff(offsets) // 8
             for i, j in tx.slices(offsets):
                 s = np.frombuffer(data[offsets[i] : offsets[j]].tobytes(), np.int64)
-                ids, n = (np.repeat(batch.column(k).to_numpy(zero_copy_only=False)[i:j], counts[i:j]) for k in (0, 1))
-                yield pa.RecordBatch.from_arrays([pa.array(s), pa.array(ids, pa.int64()), pa.array(n, pa.int64())], ["s", "id", "n"])
+                others = [np.repeat(batch.column(k).to_numpy(zero_copy_only=False)[i:j], counts[i:j]) for k in range(len(names))]
+                yield pa.RecordBatch.from_arrays([pa.array(s), *(pa.array(x, pa.int64()) for x in others)], ["s", *names])
 
-    return sets.select("id", "n", "part").mapInArrow(run, "s long, id long, n long")
+    return sets.select(*names, "part").mapInArrow(run, "s long, " + ", ".join(f"{c} long" for c in names))
 
 
 def _few(df: DataFrame) -> DataFrame:
@@ -116,41 +118,36 @@ def _compatible(n: np.ndarray, m: int, percent: int) -> np.ndarray:
     return 100 * np.minimum(n, m) >= percent * np.maximum(n, m)
 
 
-def compare(pivots: pd.DataFrame, members: pd.DataFrame, percent: int) -> tuple[list[list[int]], np.ndarray]:
-    """For every member the pivots that it is linked to, and its distance from the first pivot (by id)."""
+def compare(pivots: pd.DataFrame, members: pd.DataFrame, percent: int) -> list[list[int]]:
+    """For every member the pivots of other labels that it is linked to."""
     sets = [np.frombuffer(x, U) for x in members["part"]]
     n = members["n"].to_numpy()
-    ids = members["id"].to_numpy()
+    labels = members["label"].to_numpy()
     every = np.concatenate(sets) if sets else np.zeros(0, U)
     firsts = np.cumsum(n) - n
     links: list[list[int]] = [[] for _ in sets]
-    distance = np.ones(len(sets))
-    for k, (pid, pn, part) in enumerate(sorted(zip(pivots["id"], pivots["n"], pivots["part"], strict=True), key=lambda p: p[0])):
-        fits = _compatible(n, pn, percent)
-        if k and not fits.any():
+    for pid, pn, label, part in zip(pivots["id"], pivots["n"], pivots["label"], pivots["part"], strict=True):
+        fits = _compatible(n, pn, percent) & (labels != label)
+        if not fits.any():
             continue
         pivot = np.frombuffer(part, U)
         at = np.searchsorted(pivot, every)
         shared = np.add.reduceat(pivot[np.minimum(at, len(pivot) - 1)] == every, firsts)
-        union = n + pn - shared
-        if not k:
-            distance = 1 - shared / union
-        for i in np.flatnonzero(fits & (100 * shared >= percent * union) & (ids != pid)):
+        for i in np.flatnonzero(fits & (100 * shared >= percent * (n + pn - shared))):
             links[i].append(int(pid))
-    return links, distance
+    return links
 
 
 def _compared(dealt: DataFrame, percent: int) -> DataFrame:
-    """Rows of members and pivots, dealt by (region, salt, chunk), as members with their links and distances.
+    """Rows of members and pivots, dealt by (region, salt, chunk), as members with their links.
 
     Groups are small, so a task takes many of them from its sorted rows; one that goes on in the next batch waits for it.
     """
 
-    def group(rows: pd.DataFrame) -> tuple[pd.DataFrame, list, np.ndarray, np.ndarray]:
+    def group(rows: pd.DataFrame) -> tuple[pd.DataFrame, list, np.ndarray]:
         as_pivot = rows["as_pivot"].to_numpy()
         left, right = rows[~as_pivot], rows[as_pivot]
-        links, distance = compare(right, left, percent)
-        return left, links, distance, np.isin(left["id"].to_numpy(), right["id"].to_numpy())
+        return left, compare(right, left, percent), np.isin(left["id"].to_numpy(), right["id"].to_numpy())
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         held: list[pd.DataFrame] = []
@@ -162,7 +159,7 @@ def _compared(dealt: DataFrame, percent: int) -> DataFrame:
             done = [d for d in done if len(d[0])]
             if done:
                 left = pd.concat([d[0] for d in done])
-                yield pd.DataFrame({"region": left["region"].to_numpy(), "id": left["id"].to_numpy(), "linked": [x for d in done for x in d[1]], "far": np.concatenate([d[2] for d in done]), "pivot": np.concatenate([d[3] for d in done]), "active": left["active"].to_numpy(), "large": left["large"].to_numpy()})
+                yield pd.DataFrame({"id": left["id"].to_numpy(), "linked": [x for d in done for x in d[1]], "pivot": np.concatenate([d[2] for d in done]), "large": left["large"].to_numpy()})
 
         for batch in batches:
             if len(batch):
@@ -176,55 +173,57 @@ def _compared(dealt: DataFrame, percent: int) -> DataFrame:
         if held:
             yield from out(held[0])
 
-    return dealt.mapInPandas(run, "region long, id long, linked array<long>, far double, pivot boolean, active boolean, large boolean")
+    return dealt.mapInPandas(run, "id long, linked array<long>, pivot boolean, large boolean")
 
 
 def _links(sets: DataFrame, percent: int) -> DataFrame | None:
     """(src, dst) links that connect all linked sets; sets: written table of id, n, part.
 
-    A level cuts the sets into regions. A region of up to MEMBERS is finished at once, all of it being pivots; a larger one
-    gets PIVOTS, which resolve tight groups cheaply. What they do not resolve, and the resolved sets within its reach, are
-    the next level's sets: fewer shingles are shared among them, so they fall into smaller regions, or can be linked to
-    nothing that is left. What stays large then gets up to MOST pivots, in chunks of CHUNK, so that no task compares more
-    than about MEMBERS sets with CHUNK pivots; pairs are compared there, never emitted unless they are linked.
+    A level cuts the sets into regions. Of two sets that differ in label at least one is outside the region's largest
+    label, so the others are what has to be compared with the whole region. Up to MEMBERS of them are all pivots, and the
+    region is finished at once. Of more, PIVOTS resolve tight groups cheaply on the first level, and up to MOST, in chunks
+    of CHUNK, what stays, so that no task compares more than about MEMBERS sets with CHUNK pivots; pairs are compared
+    there, never emitted unless they are linked. All sets but the pivots, which are done, go on under their new labels.
     """
-    reach = (100 - percent) / 100
     found: DataFrame | None = None
-    state, level = sets.withColumn("active", F.lit(True)), 0
+    state, level = sets, 0
     while True:
         members = Settled(regions(state, percent))
         if not members.df.limit(1).count():
             return found
-        counts = members.df.groupBy("region").agg(F.count("*").alias("c"), F.sum(F.col("active").cast("int")).alias("a")).where("a > 0")
-        sized = members.df.join(counts, "region").withColumn("large", F.col("a") > MEMBERS)
+        per = members.df.groupBy("region", "label").agg(F.count("*").alias("c"))
+        counts = per.groupBy("region").agg(F.sum("c").alias("c"), F.max(F.struct("c", "label")).alias("most"))
+        counts = counts.select("region", "c", F.col("most.label").alias("largest"), (F.col("c") - F.col("most.c")).alias("a")).where("a > 0")
+        sized = members.df.join(counts, "region").withColumn("large", F.col("a") > MEMBERS).withColumn("test", F.col("label") != F.col("largest"))
         most = MOST if level else PIVOTS
         salts = F.ceil(F.col("c") / MEMBERS).cast("int")
         chunks = F.when(F.col("large") & F.lit(level > 0), F.ceil(F.least(F.col("a"), F.lit(most)) / CHUNK)).otherwise(F.lit(1)).cast("int")
         sized = sized.withColumn("salts", salts).withColumn("chunks", chunks)
-        columns = ["region", "id", "n", "part", "salts", "chunks"]
+        columns = ["region", "id", "n", "part", "label", "salts", "chunks"]
         # the pivots of a large region: the least ids of shares of it, so that no task sees the whole region
         share = F.pmod(F.hash("id"), F.lit(most)).alias("share")
-        least = sized.where("active and large").groupBy("region", share).agg(F.min("id").alias("id")).select("region", "id")
-        chosen = sized.where("active and not large").select(*columns).unionByName(sized.where("large").join(least, ["region", "id"], "left_semi").select(*columns))
+        least = sized.where("test and large").groupBy("region", share).agg(F.min("id").alias("id")).select("region", "id")
+        chosen = sized.where("test and not large").select(*columns).unionByName(sized.where("large").join(least, ["region", "id"], "left_semi").select(*columns))
         pivots = chosen.withColumn("chunk", F.pmod(F.hash("id", F.lit(1)), F.col("chunks"))).withColumn("salt", F.explode(F.sequence(F.lit(0), F.col("salts") - 1)))
-        pivots = pivots.select(*GROUP, "id", "n", "part", F.lit(True).alias("active"), F.lit(False).alias("large"), F.lit(True).alias("as_pivot"))
+        pivots = pivots.select(*GROUP, "id", "n", "part", "label", F.lit(False).alias("large"), F.lit(True).alias("as_pivot"))
         dealt = sized.withColumn("salt", F.pmod(F.hash("id"), F.col("salts"))).withColumn("chunk", F.explode(F.sequence(F.lit(0), F.col("chunks") - 1)))
-        dealt = dealt.select(*GROUP, "id", "n", "part", "active", "large", F.lit(False).alias("as_pivot")).unionByName(pivots)
+        dealt = dealt.select(*GROUP, "id", "n", "part", "label", "large", F.lit(False).alias("as_pivot")).unionByName(pivots)
         done = Settled(_compared(dealt.repartition(*GROUP).sortWithinPartitions(*GROUP), percent))
-        new = done.df.where(F.size("linked") > 0).select(F.col("id").alias("src"), F.explode("linked").alias("dst"))
+        linked = done.df.where(F.size("linked") > 0).select(F.col("id").alias("src"), F.explode("linked").alias("dst"), "large")
+        new = linked.select("src", "dst")
         found = new if found is None else found.unionByName(new)
-        # what goes on: unresolved members, and resolved ones that may still be linked to one of them
-        after = done.df.where("large").groupBy("region", "id").agg(F.min(F.expr("active and not pivot and size(linked) = 0").cast("int")).alias("every"), F.min("far").alias("far"))
-        after = after.select("region", "id", (F.col("every") == 1).alias("active"), "far")
-        nearest = after.where("active").groupBy("region").agg(F.min("far").alias("nearest"))
-        within = F.col("active") | (F.col("far") >= F.col("nearest") - reach - 1e-9) if level == 0 else F.lit(True)
-        after = after.join(nearest, "region").where(within).select("id", "active")
-        left = Settled(members.df.select("id", "n", "part").join(after, "id"))
-        members.drop()
+        after = done.df.where("large").groupBy("id").agg(F.max("pivot").alias("pivot")).where("not pivot").select("id")
+        left = Settled(members.df.select("id", "n", "part", "label").join(after, "id"))
         if not left.df.limit(1).count():
+            members.drop()
+            left.drop()
             return found
-        # an unresolved set with too many shingles of its own among what is left is done
-        state = settle(left.df.join(_lone(left.df), "id", "left").where(~F.col("active") | _open(percent)).select("id", "n", "part", "active"))
+        # the labels that this level joined; small regions are finished and need none
+        label = members.df.select("id", "label")
+        joined = linked.where("large").join(label.toDF("src", "a"), "src").join(label.toDF("dst", "b"), "dst").select("a", "b").where("a <> b").distinct()
+        of = components(joined, "a", "b")
+        state = settle(left.df.join(of, F.col("label") == F.col("node"), "left").select("id", "n", "part", F.coalesce("component", "label").alias("label")))
+        members.drop()
         left.drop()
         level += 1
 
@@ -235,17 +234,21 @@ def _open(percent: int) -> Column:
 
 
 def regions(sets: DataFrame, percent: int) -> DataFrame:
-    """region, id, n, part, active of the sets that share a cell with another; sets: written table of id, n, part, active."""
+    """region, id, n, part, label of the sets that share a cell with a set of another label; sets: written table of id, n,
+    part and label, or without labels as long as each set is its own."""
     rows = _exploded(sets)
-    often = rows.groupBy("s").agg(F.count("*").alias("df")).where("df > 1")
-    # a shingle of its own comes first in the order of rarity, so it takes a place of the window
+    label = F.col("label" if "label" in sets.columns else "id")
+    several = F.min(label) != F.max(label)
+    often = rows.groupBy("s").agg(F.count("*").alias("df"), several.alias("several")).where("several").select("s", "df")
+    # a shingle of one label comes first in the order of rarity, so it takes a place of the window
     order = Window.partitionBy("id").orderBy("df", "s")
     window = F.floor(F.col("n") * (100 - percent) / 100) + 1
     ranked = rows.join(often, "s").withColumn("r", F.row_number().over(order)).withColumn("shared", F.count("*").over(Window.partitionBy("id")))
-    cells = settle(ranked.where(F.col("r") <= window - (F.col("n") - F.col("shared"))).select("s", "id"))
-    hubs = cells.groupBy("s").agg(F.min("id").alias("hub"), F.count("*").alias("c")).where("c > 1")
+    names = [c for c in ("id", "label") if c in sets.columns]
+    cells = settle(ranked.where(F.col("r") <= window - (F.col("n") - F.col("shared"))).select("s", *names))
+    hubs = cells.groupBy("s").agg(F.min("id").alias("hub"), several.alias("several")).where("several").select("s", "hub")
     of = components(cells.join(hubs, "s").where("id <> hub").select(F.col("id").alias("src"), F.col("hub").alias("dst")))
-    return of.select(F.col("node").alias("id"), F.col("component").alias("region")).join(sets, "id").select("region", "id", "n", "part", "active")
+    return of.select(F.col("node").alias("id"), F.col("component").alias("region")).join(sets, "id").select("region", "id", "n", "part", label.alias("label"))
 
 
 def groups(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", words: int = 5, percent: int = 80) -> DataFrame:

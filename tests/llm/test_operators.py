@@ -138,6 +138,20 @@ def test_jaccard_groups_against_brute_force(spark, monkeypatch, members, most):
     assert got == _brute_groups(rows, 4, 85)
 
 
+def test_jaccard_link_across_pivots(spark):
+    """Groups of over MEMBERS sets, whose sets all lie near their own pivot, joined by one pair of two that are no pivots."""
+    core = [f"c{i}" for i in range(100)]
+    group = lambda x, at, n: [(at + i, " ".join([*core, *(f"{x}{k}" for k in range(10)), f"{x}own{i}"])) for i in range(n)]
+    between = [(300, " ".join([*core, *(f"a{k}" for k in range(10)), *(f"b{k}" for k in range(2))])), (301, " ".join([*core, *(f"b{k}" for k in range(10)), *(f"a{k}" for k in range(2))]))]
+    rows = [*group("a", 0, 80), *group("b", 100, 80)]
+    assert len({c for _, c in _brute_groups(rows, 1, 85).values()}) == 2
+    rows += between
+    want = _brute_groups(rows, 1, 85)
+    assert len({c for _, c in want.values()}) == 1
+    docs = spark.createDataFrame(rows, "doc_id long, text string")
+    assert {r["doc_id"]: (r["n_shingles"], r["component_id"]) for r in jaccard_regions.groups(docs, words=1, percent=85).collect()} == want
+
+
 def test_jaccard_edges(spark, odd, none):
     assert jaccard_regions.groups(none).count() == 0
     kept = jaccard_regions.deduplicated(odd)
