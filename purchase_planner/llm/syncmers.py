@@ -4,7 +4,8 @@ A k-mer of code points is a closed syncmer when the smallest hash among its inne
 inner place. Whether a k-mer is chosen depends on its own characters alone, so equal passages give equal anchors
 wherever they stand; and every window of k - s + 1 consecutive k-mers holds an anchor. A fingerprint keeps the `size`
 anchors of smallest hash with the place of each one's first occurrence; likeness is the bottom-sketch estimate of the
-Jaccard similarity of two anchor sets, counting only anchors whose places agree with the usual shift of the pair.
+Jaccard similarity of two anchor sets, counting only anchors on the longest chain whose places rise in both texts, so that
+insertions and deletions of any length leave the passages around them shared.
 
 Defined cases: a null text counts as empty and has no anchors; a text shorter than k is one anchor as a whole; two
 empty fingerprints have likeness 1, an empty and another one 0. Rows keep their multiplicity. Only the id and text
@@ -14,6 +15,7 @@ columns are read.
 from __future__ import annotations
 
 import hashlib
+from bisect import bisect_left
 from collections.abc import Iterator
 
 import numpy as np
@@ -92,7 +94,7 @@ def sketch(cps: np.ndarray, offsets: np.ndarray, k: int, s: int, size: int) -> l
 
 
 def likeness(one: tuple[np.ndarray, np.ndarray], two: tuple[np.ndarray, np.ndarray], size: int) -> float:
-    """Between 0 and 1: shared anchors at agreeing places among the smallest hashes of both."""
+    """Between 0 and 1: shared anchors in the same order among the smallest hashes of both."""
     if not len(one[0]) or not len(two[0]):
         return float(len(one[0]) == len(two[0]))
     union = np.union1d(one[0], two[0])[:size]
@@ -100,8 +102,11 @@ def likeness(one: tuple[np.ndarray, np.ndarray], two: tuple[np.ndarray, np.ndarr
     keep = one[0][i] <= union[-1]
     if not keep.any():
         return 0.0
-    shift = one[1][i[keep]] - two[1][j[keep]]
-    return float((np.abs(shift - np.sort(shift)[len(shift) // 2]) <= 16).sum() / len(union))
+    ends: list[int] = []  # the least last place of a rising chain of each length
+    for place in two[1][j[keep]][np.argsort(one[1][i[keep]])].tolist():
+        at = bisect_left(ends, place)
+        ends[at : at + 1] = [place]
+    return len(ends) / len(union)
 
 
 def text_of(fingerprint: tuple[np.ndarray, np.ndarray]) -> str:
