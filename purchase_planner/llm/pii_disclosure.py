@@ -82,14 +82,14 @@ def _spans(kind: str, matches: Column, pieces: Column, starts: Column) -> Column
         value = F.get(matches, i)
         return F.struct(
             F.lit(kind).alias("kind"), start.alias("start"), (start + F.length(value)).alias("end"), value.alias("value"),
-            F.right(F.get(pieces, i), F.lit(100)).alias("before"), F.left(F.get(pieces, i + 1), F.lit(100)).alias("after"),
+            F.get(pieces, i).alias("before"), F.get(pieces, i + 1).alias("after"),
         )
 
     return F.coalesce(F.filter(F.transform(starts, span), lambda z: _valid(kind, z["value"])), F.array().cast(_SPAN))
 
 
 def with_spans(df: DataFrame, text: str, kinds: tuple[str, ...] = KINDS) -> DataFrame:
-    """Adds a column per kind with its valid spans: kind, start, end, value and the surrounding characters."""
+    """Adds a column per kind with its valid spans: kind, start, end, value and the texts up to the matches around it."""
     body = F.col(text)
     for kind in kinds:
         pattern = PATTERNS[kind]
@@ -112,9 +112,9 @@ def _entity(z: Column) -> Column:
 
 
 def _near(z: Column) -> Column:
-    """The NEAR words on each side of a mention, in lower case; a word that the cut of 100 characters may have shortened is left out."""
-    before = F.regexp_extract_all(F.regexp_replace(z["before"], r"^\p{L}+", ""), F.lit(WORD), F.lit(0))
-    after = F.regexp_extract_all(F.regexp_replace(z["after"], r"\p{L}+$", ""), F.lit(WORD), F.lit(0))
+    """The NEAR words on each side of a mention, in lower case, however far they stand within the text up to the matches around it."""
+    before = F.regexp_extract_all(z["before"], F.lit(WORD), F.lit(0))
+    after = F.regexp_extract_all(z["after"], F.lit(WORD), F.lit(0))
     both = F.concat(F.slice(before, F.greatest(F.size(before) - NEAR + 1, F.lit(1)), F.lit(NEAR)), F.slice(after, F.lit(1), F.lit(NEAR)))
     return F.filter(F.transform(both, F.lower), lambda w: F.length(w) >= SHORTEST)
 
