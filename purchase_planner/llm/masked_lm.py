@@ -3,6 +3,8 @@
 Words are the tokens. The VOCABULARY most frequent words of the corpus keep entries of their own, all others share
 HASHED entries by hash. Output is factored: the network predicts one of CLASSES classes of a token (frequency bins of
 about equal mass), and a token within its class follows corpus counts, so probabilities sum to one over the words seen.
+`score` takes the counts of all words as a table, which grows with the corpus and is joined to the words outside the
+vocabulary; without that table these get the mean count of their shared entry.
 
 Network: embeddings of SIDE words on either side (with a padding entry at the ends), one tanh layer, softmax. Training is
 numpy stochastic gradient descent, data-parallel over the whole corpus: each task makes one pass over its rows from a
@@ -11,7 +13,8 @@ times. Word counts and the averages are combinable sums in numeric columns; the
 vocabulary and weights.
 
 Defined cases: a null or empty text has no tokens, log-likelihood 0 and a null mean; repeated rows repeat; an empty
-corpus gives an empty result (and, to an explicit `train`, an untrained network); only the named columns are read.
+corpus gives an empty result (and, to an explicit `train`, an untrained network); a word that the table of counts does not
+hold counts as half a time; only the named columns are read.
 """
 
 from __future__ import annotations
@@ -21,10 +24,12 @@ from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
+from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from . import _text as tx
+from ._shared import settle
 
 U = np.uint64
 VOCABULARY, HASHED, CLASSES, SIDE, EMBEDDED, HIDDEN = 3839, 256, 32, 2, 8, 16
@@ -38,6 +43,7 @@ class Lexicon:
     entries: np.ndarray  # of those
     classes: np.ndarray  # of every entry
     within: np.ndarray  # log P(word | class) of every entry; shared entries spread over the words seen
+    average: np.ndarray  # log of the mean count of the words of a shared entry; 0 for the others
 
     def encode(self, h: np.ndarray) -> np.ndarray:
         shared = (h % U(HASHED)).astype(np.int64) + 1
@@ -106,8 +112,10 @@ def lexicon(counts: DataFrame) -> Lexicon:
     per_class = np.bincount(classes[1:], mass[1:], CLASSES)
     with np.errstate(divide="ignore"):
         within = np.log(np.maximum(mass, 0.5) / np.maximum(per_class[classes], 1.0)) - np.log(spread)
+    average = np.zeros(ENTRIES)
+    average[1 : 1 + HASHED] = np.log(np.maximum(mass, 0.5) / spread)[1 : 1 + HASHED]
     order = np.argsort(hashes)
-    return Lexicon(hashes[order], (np.arange(len(hashes)) + 1 + HASHED)[order], classes, within)
+    return Lexicon(hashes[order], (np.arange(len(hashes)) + 1 + HASHED)[order], classes, within, average)
 
 
 def start(seed: int = 11) -> Network:
@@ -214,8 +222,13 @@ def train(docs: DataFrame, lex: Lexicon, text_col: str = "text", rounds: int = R
     return net
 
 
-def score(docs: DataFrame, lex: Lexicon, net: Network, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """id, n_tokens, pseudo_log_likelihood (natural logarithm, summed over all tokens) and its mean per token."""
+def score(docs: DataFrame, lex: Lexicon, net: Network, id_col: str = "doc_id", text_col: str = "text", counts: DataFrame | None = None) -> DataFrame:
+    """id, n_tokens, pseudo_log_likelihood (natural logarithm, summed over all tokens) and its mean per token.
+
+    counts: the table (h, c) of all words that lex was made from.
+    """
+    if counts is not None:
+        return _counted(docs, lex, net, id_col, text_col, counts)
     shared = docs.sparkSession.sparkContext.broadcast((lex, net))  # of fixed size
     rows = docs.select(F.col(id_col).alias("id"), F.col(text_col).cast("string").alias("text"))
 
@@ -233,6 +246,35 @@ def score(docs: DataFrame, lex: Lexicon, net: Network, id_col: str = "doc_id", t
     return rows.mapInArrow(run, f"id {rows.schema['id'].dataType.simpleString()}, n_tokens long, pseudo_log_likelihood double, mean double").withColumnRenamed("id", id_col)
 
 
+def _counted(docs: DataFrame, lex: Lexicon, net: Network, id_col: str, text_col: str, counts: DataFrame) -> DataFrame:
+    """score with every word's own count: the words that share entries are joined to the table of counts."""
+    shared = docs.sparkSession.sparkContext.broadcast((lex, net))  # of fixed size
+    rows = docs.select(F.col(id_col).alias("id"), F.col(text_col).cast("string").alias("text"))
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        words, own = shared.value
+        row = TaskContext.get().partitionId() << 40
+        for batch in batches:
+            for i, j, h, at in _hashes(batch.column(1)):
+                tokens = words.encode(h)
+                sums = np.concatenate([[0.0], np.cumsum(token_scores(words, own, tokens, at) - words.average[tokens])])
+                rare = tokens <= HASHED
+                ends = np.concatenate([[0], np.cumsum(rare)])[at]
+                lists = pa.ListArray.from_arrays(pa.array(ends, pa.int32()), pa.array(h[rare].view(np.int64)))
+                yield pa.RecordBatch.from_arrays([pa.array(np.arange(row, row + j - i)), batch.column(0)[i:j], pa.array(np.diff(at), pa.int64()), pa.array(np.diff(sums[at])), lists], ["row", "id", "n", "known", "rare"])
+                row += j - i
+
+    # written, as the numbers of the rows must not change between the two reads
+    held = settle(rows.mapInArrow(run, f"row long, id {rows.schema['id'].dataType.simpleString()}, n long, known double, rare array<long>"))
+    # logarithms as integers, so that sums do not depend on the order of arrival
+    unit = 1e9
+    each = held.select("row", F.explode("rare").alias("h")).join(counts.select("h", F.round(F.log("c") * unit).cast("long").alias("w")), "h", "left")
+    sums = each.groupBy("row").agg(F.sum(F.coalesce("w", F.lit(round(np.log(0.5) * unit)))).alias("w"))
+    total = F.round(F.col("known") + F.coalesce("w", F.lit(0)) / unit, 6)
+    out = held.drop("rare").join(sums, "row", "left").withColumn("total", total)
+    return out.select(F.col("id").alias(id_col), F.col("n").alias("n_tokens"), F.col("total").alias("pseudo_log_likelihood"), F.when(F.col("n") > 0, F.col("total") / F.col("n")).alias("mean"))
+
+
 def token_scores(lex: Lexicon, net: Network, tokens: np.ndarray, rows: np.ndarray) -> np.ndarray:
     """log P(token | both sides) of every token."""
     near, out = contexts(tokens, rows), np.zeros(len(tokens))

@@ -61,5 +61,6 @@ def op3_layout_text(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def op9_masked_lm(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = table(spark, sf_dir, "documents")
-    words = masked_lm.lexicon(settle(masked_lm.word_counts(docs)))
-    return masked_lm.score(docs, words, masked_lm.train(docs, words))
+    counts = settle(masked_lm.word_counts(docs))
+    words = masked_lm.lexicon(counts)
+    return masked_lm.score(docs, words, masked_lm.train(docs, words), counts=counts)
