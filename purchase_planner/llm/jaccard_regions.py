@@ -1,30 +1,36 @@
 """Exact Jaccard self-join of word-shingle sets in metric-space regions, giving the connected groups of linked documents.
 
-Jaccard distance is a metric, but unrelated documents are all at distance 1 from any document pivot, so pivots among the
-documents alone would put nearly all documents on every boundary. The first level therefore takes one-shingle sets as
-pivots: a document's nearest pivots are its own rarest shingles, and the boundary window is exact - two documents within
-distance r share one of the n - ceil((1 - r) n) + 1 rarest shingles of each, so a document is replicated to the cells of
-these. Cells that share documents make a region. Within a region, documents are the pivots, each compared with the whole
-region and then done. Documents that are linked so far carry one label, and only pairs of different labels are left to
-test: a shingle that is in sets of one label alone can be shared with no other label, so it counts as a set's own, cells
-of one label fall away, and a set with more than r * n such shingles is done. Levels recur until every pair that may lie
-within r has been compared or is connected already.
+Jaccard distance is a metric, but unrelated documents are all at distance 1 from any document, so document pivots alone
+would put nearly all of a corpus on every boundary. The first cut therefore takes one-shingle sets as pivots: a document's
+nearest pivots are its own rarest shingles, and the boundary window is exact - two documents within distance r share one
+of the n - ceil((1 - r) n) + 1 rarest shingles of each, so a document is replicated to the cells of these. Cells that
+share documents make a region, and no link leaves a region.
+
+Within a region, sampled documents are pivots and cut it into Voronoi cells: every document's distances to the pivots are
+measured, it belongs to the cell of its nearest pivot if that is within RADIUS, else to the outer cell, and by the
+triangle inequality it is replicated to the cells of all pivots within min(nearest + 2 r, RADIUS + r), since a document
+within r of it may live there. Two linked documents thus always meet in the cell of one of them or in the outer cell.
+Cells are cut again in the same way until few documents are left, which are compared directly; a cell whose windows hold
+nearly all of its region is not cut but goes on without the pivots, which have met everyone. Documents that are linked so
+far carry one label; only pairs of different labels are left to test, so cells of one label are done, and a pivot that is
+linked to an earlier one steps back. Regions of up to LOCAL documents recur in one task's memory, larger ones by Spark.
 
 What keeps this linear in the input: equal sets are one representative; a representative with more than r * n shingles
 that occur nowhere else is linked to nothing (first judged on a fixed share of the hash range, then on all shingles of
-the rest), which takes two combinable counts and no pairs; region members are dealt by salts of about MEMBERS, with the
-pivots replicated to each salt.
+the rest), which takes two combinable counts and no pairs; members of a large region are dealt by salts of about MEMBERS,
+with chunks of pivots replicated to each salt.
 
 Words are [^\\x20\\x09-\\x0D]+ after lower-casing A-Z; shingles are told apart by 64-bit hashes, sets by 128 further bits.
 
 Defined cases: a null text or one without words has no shingles and is its own group; fewer words than a shingle make
 one shingle of all; repeated rows are linked; a null id gives a null group but its row stays; an empty table gives an
-empty result; only the id and text columns are read.
+empty result; only the id and text columns are read, so other columns may have any names.
 """
 
 from __future__ import annotations
 
-from collections.abc import Iterator
+import math
+from collections.abc import Callable, Iterator
 from functools import reduce
 
 import numpy as np
@@ -38,7 +44,11 @@ from ._shared import Settled, settle, settle_last
 from .components import components
 
 U = np.uint64
-MEMBERS, PIVOTS, MOST, CHUNK = 64, 8, 4096, 128
+#: Members of a task's block; pivots of a chunk; pivots of a region and level; documents up to which pairs are compared directly.
+MEMBERS, CHUNK, MOST, LEAF = 256, 128, 1024, 12
+#: Documents and bytes of shingles up to which a region recurs in one task; farthest distance from its pivot within a cell.
+LOCAL, LOCAL_BYTES, RADIUS = 1024, 32 << 20, 0.5
+EPS = 1e-9
 GROUP = ["region", "salt", "chunk"]
 #: A table of at most so many ids is broadcast (16 bytes a row and the hash table); a larger one is joined by shuffle.
 BROADCAST_IDS = 1_000_000
@@ -88,8 +98,8 @@ def _table(docs: DataFrame, id_col: str, text_col: str, words: int, below: int |
 
 
 def _exploded(sets: DataFrame) -> DataFrame:
-    """(s, id, n), and label if there is one: one row a shingle."""
-    names = [c for c in ("id", "n", "label") if c in sets.columns]
+    """(s, id, n): one row a shingle."""
+    names = ["id", "n"]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -113,119 +123,234 @@ def _lone(sets: DataFrame) -> DataFrame:
     return _exploded(sets).groupBy("s").agg(F.count("*").alias("c"), F.min("id").alias("id")).where("c = 1").groupBy("id").agg(F.count("*").alias("lone"))
 
 
-def _compatible(n: np.ndarray, m: int, percent: int) -> np.ndarray:
-    """Whether sets of n and m shingles can be linked at all."""
-    return 100 * np.minimum(n, m) >= percent * np.maximum(n, m)
+class Sets:
+    """Shingle sets of some documents, with their overlaps with one set at a time."""
 
+    def __init__(self, parts: list[bytes]):
+        self.n = np.array([len(p) // 8 for p in parts], np.int64)
+        self.universe, self.codes = np.unique(np.frombuffer(b"".join(parts), U), return_inverse=True)
+        self.firsts = np.cumsum(self.n) - self.n
+        self.mark = np.zeros(len(self.universe), np.int32)
 
-def compare(pivots: pd.DataFrame, members: pd.DataFrame, percent: int) -> list[list[int]]:
-    """For every member the pivots of other labels that it is linked to."""
-    sets = [np.frombuffer(x, U) for x in members["part"]]
-    n = members["n"].to_numpy()
-    labels = members["label"].to_numpy()
-    every = np.concatenate(sets) if sets else np.zeros(0, U)
-    firsts = np.cumsum(n) - n
-    links: list[list[int]] = [[] for _ in sets]
-    for pid, pn, label, part in zip(pivots["id"], pivots["n"], pivots["label"], pivots["part"], strict=True):
-        fits = _compatible(n, pn, percent) & (labels != label)
-        if not fits.any():
-            continue
-        pivot = np.frombuffer(part, U)
-        at = np.searchsorted(pivot, every)
-        shared = np.add.reduceat(pivot[np.minimum(at, len(pivot) - 1)] == every, firsts)
-        for i in np.flatnonzero(fits & (100 * shared >= percent * (n + pn - shared))):
-            links[i].append(int(pid))
-    return links
+    def part(self, at: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """Codes of the shingles of some members, one after the other, and where each begins."""
+        return self.codes[tx.ragged(self.firsts[at], self.n[at])], np.cumsum(self.n[at]) - self.n[at]
 
+    def own(self, i: int) -> np.ndarray:
+        return self.codes[self.firsts[i] : self.firsts[i] + self.n[i]]
 
-def _compared(dealt: DataFrame, percent: int) -> DataFrame:
-    """Rows of members and pivots, dealt by (region, salt, chunk), as members with their links.
+    def coded(self, part: bytes) -> np.ndarray:
+        """Codes of the shingles of any set that some member has too."""
+        pivot = np.frombuffer(part, U)
+        at = np.minimum(np.searchsorted(self.universe, pivot), len(self.universe) - 1)
+        return at[self.universe[at] == pivot]
+
+    def shared(self, pivot: np.ndarray, codes: np.ndarray, firsts: np.ndarray) -> np.ndarray:
+        self.mark[pivot] = 1
+        out = np.add.reduceat(self.mark[codes], firsts)
+        self.mark[pivot] = 0
+        return out
+
+
+def _near(shared: np.ndarray, n: np.ndarray, m: int, percent: int) -> tuple[np.ndarray, np.ndarray]:
+    """Distances to a set of m shingles, and whether they are links."""
+    union = n + m - shared
+    return 1 - shared / union, 100 * shared >= percent * union
+
+
+def solve(sets: Sets, labels: np.ndarray, percent: int, rng: np.random.Generator) -> list[tuple[int, int]]:
+    """Pairs of linked members that join all labels which links join, by recursive Voronoi cells in memory."""
+    r = (100 - percent) / 100
+    label = np.unique(labels, return_inverse=True)[1].astype(np.int64)
+    links: list[tuple[int, int]] = []
+    todo = [np.arange(len(label))]
+    while todo:
+        at = todo.pop()
+        counts = np.bincount(label[at])
+        test = np.flatnonzero(label[at] != counts.argmax())
+        if not len(test):
+            continue
+        whole = len(test) <= LEAF
+        chosen = test if whole else rng.permutation(test)[: min(32, math.isqrt(len(at)))]
+        codes, firsts = sets.part(at)
+        n = sets.n[at]
+        rows, pivots = [], []
+        for c in chosen:
+            if any(d[c] <= r + EPS for d in rows) and not whole:
+                continue  # linked to an earlier pivot
+            far, linked = _near(sets.shared(sets.own(at[c]), codes, firsts), n, n[c], percent)
+            for i in np.flatnonzero(linked & (label[at] != label[at[c]])):
+                if label[at[i]] != label[at[c]]:
+                    links.append((int(at[c]), int(at[i])))
+                    label[label == label[at[i]]] = label[at[c]]
+            rows.append(far)
+            pivots.append(c)
+        if whole:
+            continue
+        distance = np.array(rows)
+        nearest = distance.min(0)
+        rest = np.ones(len(at), bool)
+        rest[pivots] = False
+        home = np.where(nearest <= RADIUS, distance.argmin(0), -1)
+        reach = np.minimum(nearest + 2 * r, RADIUS + r) + EPS
+        cells = [at[rest & (d <= reach)] for k, d in enumerate(distance) if (rest & (home == k)).any()]
+        cells.append(at[rest & (home < 0)])
+        cut = sum(len(c) ** 2 for c in cells) < int(rest.sum()) ** 2
+        todo += [c for c in cells if len(c) > 1] if cut else [at[rest]]
+    return links
 
-    Groups are small, so a task takes many of them from its sorted rows; one that goes on in the next batch waits for it.
-    """
 
-    def group(rows: pd.DataFrame) -> tuple[pd.DataFrame, list, np.ndarray]:
-        as_pivot = rows["as_pivot"].to_numpy()
-        left, right = rows[~as_pivot], rows[as_pivot]
-        return left, compare(right, left, percent), np.isin(left["id"].to_numpy(), right["id"].to_numpy())
+def _by_group(rows: DataFrame, keys: list[str], schema: str, group: Callable[[pd.DataFrame], pd.DataFrame]) -> DataFrame:
+    """`group` of each run of equal keys. Groups are small, so a task takes many from its sorted rows; one that goes on in the next batch waits for it."""
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         held: list[pd.DataFrame] = []
 
         def out(rows: pd.DataFrame) -> Iterator[pd.DataFrame]:
-            mark = reduce(lambda x, y: x | y, (rows[k].ne(rows[k].shift()) for k in GROUP))
+            mark = reduce(lambda x, y: x | y, (rows[k].ne(rows[k].shift()) for k in keys))
             at = np.append(np.flatnonzero(mark.to_numpy()), len(rows))
             done = [group(rows.iloc[a:b]) for a, b in zip(at[:-1], at[1:], strict=True)]
-            done = [d for d in done if len(d[0])]
+            done = [d for d in done if len(d)]
             if done:
-                left = pd.concat([d[0] for d in done])
-                yield pd.DataFrame({"id": left["id"].to_numpy(), "linked": [x for d in done for x in d[1]], "pivot": np.concatenate([d[2] for d in done]), "large": left["large"].to_numpy()})
+                yield pd.concat(done)
 
         for batch in batches:
             if len(batch):
-                held.append(batch)
-                rows = pd.concat(held)
-                same = reduce(lambda x, y: x & y, (rows[k] == batch[k].iloc[-1] for k in GROUP)).to_numpy()
-                if not same.all():
-                    yield from out(rows[~same])
-                    rows = rows[same]
-                held = [rows]
+                same = reduce(lambda x, y: x & y, (batch[k] == batch[k].iloc[-1] for k in keys)).to_numpy()
+                if same.all() and held and all(held[-1][k].iloc[-1] == batch[k].iloc[-1] for k in keys):
+                    held.append(batch)
+                    continue
+                rows = pd.concat([*held, batch])
+                last = reduce(lambda x, y: x & y, (rows[k] == batch[k].iloc[-1] for k in keys)).to_numpy()
+                if not last.all():
+                    yield from out(rows[~last])
+                held = [rows[last]]
         if held:
-            yield from out(held[0])
+            yield from out(pd.concat(held))
+
+    return rows.repartition(*keys).sortWithinPartitions(*keys).mapInPandas(run, schema)
+
+
+def _solved(rows: DataFrame, percent: int) -> DataFrame:
+    """(src, dst) links of whole small regions."""
 
-    return dealt.mapInPandas(run, "id long, linked array<long>, pivot boolean, large boolean")
+    def group(rows: pd.DataFrame) -> pd.DataFrame:
+        rows = rows.sort_values("id")
+        ids = rows["id"].to_numpy()
+        found = solve(Sets(rows["part"].tolist()), rows["label"].to_numpy(), percent, np.random.default_rng(7))
+        return pd.DataFrame({"src": ids[[a for a, _ in found]], "dst": ids[[b for _, b in found]]})
+
+    return _by_group(rows.select("region", "id", "part", "label"), ["region"], "src long, dst long", group)
+
+
+def measure(pivots: pd.DataFrame, members: pd.DataFrame, percent: int) -> pd.DataFrame:
+    """For every member the pivots of this chunk that it is linked to, those within reach with their distances, and whether it is one.
+
+    Where not all that has to be tested is a pivot, a pivot that is linked to an earlier one of the chunk steps back.
+    """
+    r = (100 - percent) / 100
+    pivots = pivots.sort_values("id")
+    whole = bool(pivots["whole"].iloc[0])
+    among = Sets(pivots["part"].tolist())
+    kept: list[int] = []
+    close = np.zeros(len(pivots), bool)
+    for k in range(len(pivots)):
+        if whole or not close[k]:
+            kept.append(k)
+            close |= whole or _near(among.shared(among.own(k), among.codes, among.firsts), among.n, among.n[k], percent)[1]
+    sets = Sets(members["part"].tolist())
+    n, labels = sets.n, members["label"].to_numpy()
+    links: list[list[int]] = [[] for _ in n]
+    reach: list[list[dict]] = [[] for _ in n]
+    ids, of, parts = pivots["id"].tolist(), pivots["label"].to_numpy(), pivots["part"].tolist()
+    for k in kept:
+        far, linked = _near(sets.shared(sets.coded(parts[k]), sets.codes, sets.firsts), n, among.n[k], percent)
+        for i in np.flatnonzero(linked & (labels != of[k])):
+            links[i].append(ids[k])
+        for i in np.flatnonzero((far <= RADIUS + r + EPS) & (not whole)):
+            reach[i].append({"d": float(far[i]), "p": ids[k]})
+    own = {ids[k] for k in kept}
+    return pd.DataFrame({"region": members["region"].to_numpy(), "id": members["id"].to_numpy(), "linked": links, "reach": reach, "done": [whole or i in own for i in members["id"].tolist()]})
+
+
+def _measured(dealt: DataFrame, percent: int) -> DataFrame:
+    def group(rows: pd.DataFrame) -> pd.DataFrame:
+        as_pivot = rows["as_pivot"].to_numpy()
+        if as_pivot.all() or not as_pivot.any():
+            return rows.iloc[:0]
+        return measure(rows[as_pivot], rows[~as_pivot], percent)
+
+    return _by_group(dealt, GROUP, "region long, id long, linked array<long>, reach array<struct<d: double, p: long>>, done boolean", group)
+
+
+def _cut(members: DataFrame, sized: DataFrame, percent: int, first: bool) -> Settled:
+    """One level over large regions: their members with links and distances to the pivots of their region.
+
+    The pivots are all members outside the largest label where these are few (MOST after the first level), which ends the
+    region; else the least ids of shares of them, so that no task sees the whole region.
+    """
+    columns = ["region", "id", "n", "part", "label", "salts", "chunks", "whole"]
+    bound = F.least(F.lit(MOST), F.ceil(F.col("c") / 64)) if first else F.lit(MOST)
+    sized = sized.withColumn("a", F.col("c") - F.col("held")).withColumn("whole", F.col("a") <= bound)
+    sized = sized.select("region", "c", "largest", "whole", F.least("a", bound).cast("int").alias("most"))
+    sized = members.join(sized, "region")
+    sized = sized.withColumn("salts", F.ceil(F.col("c") / MEMBERS).cast("int")).withColumn("chunks", F.ceil(F.col("most") / CHUNK).cast("int"))
+    test = sized.where(F.col("label") != F.col("largest"))
+    share = F.pmod(F.xxhash64("id"), F.col("most")).alias("share")
+    least = test.where("not whole").groupBy("region", share).agg(F.min("id").alias("id")).select("region", "id")
+    chosen = test.where("whole").select(*columns).unionByName(test.where("not whole").join(least, ["region", "id"], "left_semi").select(*columns))
+    pivots = chosen.withColumn("chunk", F.pmod(F.hash("id", F.lit(1)), F.col("chunks"))).withColumn("salt", F.explode(F.sequence(F.lit(0), F.col("salts") - 1)))
+    dealt = sized.select(*columns).withColumn("salt", F.pmod(F.hash("id"), F.col("salts"))).withColumn("chunk", F.explode(F.sequence(F.lit(0), F.col("chunks") - 1)))
+    last = [*GROUP, "id", "part", "label", "whole"]
+    return Settled(_measured(dealt.select(*last, F.lit(False).alias("as_pivot")).unionByName(pivots.select(*last, F.lit(True).alias("as_pivot"))), percent))
+
+
+def _cells(done: DataFrame, sized: DataFrame, percent: int) -> DataFrame:
+    """(region, id) of the next level: Voronoi cells with their windows, or the region without its pivots where cells would not shrink it."""
+    r = (100 - percent) / 100
+    per = done.groupBy("region", "id").agg(F.flatten(F.collect_list("reach")).alias("reach"), F.max("done").alias("done")).where("not done")
+    per = per.withColumn("nearest", F.coalesce(F.array_min(F.transform("reach", lambda z: z["d"])), F.lit(1.0)))
+    within = F.filter("reach", lambda z: z["d"] <= F.least(F.col("nearest") + 2 * r, F.lit(RADIUS + r)) + EPS)
+    inner, outer = F.transform(within, lambda z: F.xxhash64("region", z["p"])), F.array(F.xxhash64("region"))
+    held = settle(per.select("region", "id", F.when(F.col("nearest") <= RADIUS, inner).otherwise(F.concat(inner, outer)).alias("cells")))
+    sums = held.select("region", F.explode("cells").alias("cell")).groupBy("region", "cell").agg(F.count("*").alias("k")).groupBy("region").agg(F.sum("k").alias("rows"), F.sum(F.col("k") * F.col("k")).alias("squares"))
+    worth = sums.join(sized, "region").select("region", ((F.col("squares") < F.col("c") * F.col("c")) & (F.col("rows") <= 4 * F.col("c"))).alias("cut"))
+    return held.join(worth, "region").select("id", F.explode(F.when(F.col("cut"), F.col("cells")).otherwise(outer)).alias("region"))
 
 
 def _links(sets: DataFrame, percent: int) -> DataFrame | None:
     """(src, dst) links that connect all linked sets; sets: written table of id, n, part.
 
-    A level cuts the sets into regions. Of two sets that differ in label at least one is outside the region's largest
-    label, so the others are what has to be compared with the whole region. Up to MEMBERS of them are all pivots, and the
-    region is finished at once. Of more, PIVOTS resolve tight groups cheaply on the first level, and up to MOST, in chunks
-    of CHUNK, what stays, so that no task compares more than about MEMBERS sets with CHUNK pivots; pairs are compared
-    there, never emitted unless they are linked. All sets but the pivots, which are done, go on under their new labels.
+    Small regions are finished at once, larger ones are cut into Voronoi cells, which are the regions of the next level.
     """
     found: DataFrame | None = None
-    state, level = sets, 0
+    of = sets.select("id", "n", "part", F.col("id").alias("label"))
+    first = True
+    members = Settled(regions(sets, percent).join(of, "id").select("region", "id", "n", "part", "label"))
     while True:
-        members = Settled(regions(state, percent))
-        if not members.df.limit(1).count():
-            return found
-        per = members.df.groupBy("region", "label").agg(F.count("*").alias("c"))
-        counts = per.groupBy("region").agg(F.sum("c").alias("c"), F.max(F.struct("c", "label")).alias("most"))
-        counts = counts.select("region", "c", F.col("most.label").alias("largest"), (F.col("c") - F.col("most.c")).alias("a")).where("a > 0")
-        sized = members.df.join(counts, "region").withColumn("large", F.col("a") > MEMBERS).withColumn("test", F.col("label") != F.col("largest"))
-        most = MOST if level else PIVOTS
-        salts = F.ceil(F.col("c") / MEMBERS).cast("int")
-        chunks = F.when(F.col("large") & F.lit(level > 0), F.ceil(F.least(F.col("a"), F.lit(most)) / CHUNK)).otherwise(F.lit(1)).cast("int")
-        sized = sized.withColumn("salts", salts).withColumn("chunks", chunks)
-        columns = ["region", "id", "n", "part", "label", "salts", "chunks"]
-        # the pivots of a large region: the least ids of shares of it, so that no task sees the whole region
-        share = F.pmod(F.hash("id"), F.lit(most)).alias("share")
-        least = sized.where("test and large").groupBy("region", share).agg(F.min("id").alias("id")).select("region", "id")
-        chosen = sized.where("test and not large").select(*columns).unionByName(sized.where("large").join(least, ["region", "id"], "left_semi").select(*columns))
-        pivots = chosen.withColumn("chunk", F.pmod(F.hash("id", F.lit(1)), F.col("chunks"))).withColumn("salt", F.explode(F.sequence(F.lit(0), F.col("salts") - 1)))
-        pivots = pivots.select(*GROUP, "id", "n", "part", "label", F.lit(False).alias("large"), F.lit(True).alias("as_pivot"))
-        dealt = sized.withColumn("salt", F.pmod(F.hash("id"), F.col("salts"))).withColumn("chunk", F.explode(F.sequence(F.lit(0), F.col("chunks") - 1)))
-        dealt = dealt.select(*GROUP, "id", "n", "part", "label", "large", F.lit(False).alias("as_pivot")).unionByName(pivots)
-        done = Settled(_compared(dealt.repartition(*GROUP).sortWithinPartitions(*GROUP), percent))
-        linked = done.df.where(F.size("linked") > 0).select(F.col("id").alias("src"), F.explode("linked").alias("dst"), "large")
-        new = linked.select("src", "dst")
-        found = new if found is None else found.unionByName(new)
-        after = done.df.where("large").groupBy("id").agg(F.max("pivot").alias("pivot")).where("not pivot").select("id")
-        left = Settled(members.df.select("id", "n", "part", "label").join(after, "id"))
-        if not left.df.limit(1).count():
+        per = members.df.groupBy("region", "label").agg(F.count("*").alias("c"), F.sum("n").alias("n"))
+        most = F.max(F.struct("c", "label"))
+        sized = Settled(per.groupBy("region").agg(F.sum("c").alias("c"), F.sum("n").alias("n"), most["label"].alias("largest"), most["c"].alias("held"), F.count("*").alias("labels")).where("labels > 1"))
+        small = (F.col("c") <= LOCAL) & (F.col("n") * 8 <= LOCAL_BYTES) | (F.col("c") <= LEAF)
+        large = sized.df.where(~small)
+        solved = Settled(_solved(members.df.join(sized.df.where(small).select("region"), "region", "left_semi"), percent))
+        found = solved.df if found is None else found.unionByName(solved.df)
+        if not large.limit(1).count():
             members.drop()
-            left.drop()
             return found
-        # the labels that this level joined; small regions are finished and need none
-        label = members.df.select("id", "label")
-        joined = linked.where("large").join(label.toDF("src", "a"), "src").join(label.toDF("dst", "b"), "dst").select("a", "b").where("a <> b").distinct()
+        done = _cut(members.df, large, percent, first)
+        first = False
+        linked = done.df.select(F.col("id").alias("src"), F.explode("linked").alias("dst"))
+        found = found.unionByName(linked)
+        # labels that are linked by now, within large regions and small ones
+        label = members.df.select("id", "label").distinct()
+        joined = found.join(label.toDF("src", "a"), "src").join(label.toDF("dst", "b"), "dst").select("a", "b").where("a <> b")
         of = components(joined, "a", "b")
-        state = settle(left.df.join(of, F.col("label") == F.col("node"), "left").select("id", "n", "part", F.coalesce("component", "label").alias("label")))
+        rows = members.df.select("id", "n", "part", "label").dropDuplicates(["id"])
+        rows = rows.join(of, F.col("label") == F.col("node"), "left").select("id", "n", "part", F.coalesce("component", "label").alias("label"))
+        following = Settled(_cells(done.df, large, percent).join(rows, "id").select("region", "id", "n", "part", "label"))
         members.drop()
-        left.drop()
-        level += 1
+        members = following
 
 
 def _open(percent: int) -> Column:
@@ -234,21 +359,17 @@ def _open(percent: int) -> Column:
 
 
 def regions(sets: DataFrame, percent: int) -> DataFrame:
-    """region, id, n, part, label of the sets that share a cell with a set of another label; sets: written table of id, n,
-    part and label, or without labels as long as each set is its own."""
+    """(region, id) of the sets that share a cell of a rare shingle with another; sets: written table of id, n, part."""
     rows = _exploded(sets)
-    label = F.col("label" if "label" in sets.columns else "id")
-    several = F.min(label) != F.max(label)
-    often = rows.groupBy("s").agg(F.count("*").alias("df"), several.alias("several")).where("several").select("s", "df")
-    # a shingle of one label comes first in the order of rarity, so it takes a place of the window
+    often = rows.groupBy("s").agg(F.count("*").alias("df")).where("df > 1")
+    # a shingle of one set comes first in the order of rarity, so it takes a place of the window
     order = Window.partitionBy("id").orderBy("df", "s")
     window = F.floor(F.col("n") * (100 - percent) / 100) + 1
     ranked = rows.join(often, "s").withColumn("r", F.row_number().over(order)).withColumn("shared", F.count("*").over(Window.partitionBy("id")))
-    names = [c for c in ("id", "label") if c in sets.columns]
-    cells = settle(ranked.where(F.col("r") <= window - (F.col("n") - F.col("shared"))).select("s", *names))
-    hubs = cells.groupBy("s").agg(F.min("id").alias("hub"), several.alias("several")).where("several").select("s", "hub")
+    cells = settle(ranked.where(F.col("r") <= window - (F.col("n") - F.col("shared"))).select("s", "id"))
+    hubs = cells.groupBy("s").agg(F.min("id").alias("hub"), F.count("*").alias("k")).where("k > 1").select("s", "hub")
     of = components(cells.join(hubs, "s").where("id <> hub").select(F.col("id").alias("src"), F.col("hub").alias("dst")))
-    return of.select(F.col("node").alias("id"), F.col("component").alias("region")).join(sets, "id").select("region", "id", "n", "part", label.alias("label"))
+    return of.select(F.col("component").alias("region"), F.col("node").alias("id"))
 
 
 def groups(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", words: int = 5, percent: int = 80) -> DataFrame:

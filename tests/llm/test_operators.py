@@ -121,25 +121,62 @@ def _brute_groups(rows, words, percent):
     return {i: (len(sets[i]), find(i)) for i in ids}
 
 
-@pytest.mark.parametrize("members,most", [(64, 4096), (2, 4)])
-def test_jaccard_groups_against_brute_force(spark, monkeypatch, members, most):
-    monkeypatch.setattr(jaccard_regions, "MEMBERS", members)
-    monkeypatch.setattr(jaccard_regions, "MOST", most)
+def _near_copies(rng, group, n, at, most):
+    """Copies of one text of 60 words, each with up to `most` words replaced."""
+    base = [f"{group}{x}" for x in rng.integers(0, 500, 60)]
+    rows = []
+    for i in range(n):
+        w = list(base)
+        for _ in range(int(rng.integers(0, most + 1))):
+            w[int(rng.integers(0, len(w)))] = f"n{rng.integers(0, 40)}"
+        rows.append((at + i, " ".join(w)))
+    return rows
+
+
+@pytest.mark.parametrize("local,members,chunk", [(1024, 256, 128), (6, 4, 3), (20, 16, 128)])
+def test_jaccard_groups_against_brute_force(spark, monkeypatch, local, members, chunk):
+    """Regions that recur in one task, and the same rows cut into Voronoi cells by Spark, level after level."""
+    for name, value in (("LOCAL", local), ("MEMBERS", members), ("CHUNK", chunk), ("LEAF", 4)):
+        monkeypatch.setattr(jaccard_regions, name, value)
     rng = np.random.default_rng(5)
-    base = [f"w{x}" for x in rng.integers(0, 500, 60)]
     rows = [(i, t) for i, t in enumerate(ODD)]
-    for i in range(30):  # near copies, more and less than the threshold apart
-        w = list(base)
-        for _ in range(int(rng.integers(0, 5))):
-            w[int(rng.integers(0, len(w)))] = f"n{rng.integers(0, 10**6)}"
-        rows.append((100 + i, " ".join(w)))
+    rows += _near_copies(rng, "w", 60, 100, 5) + _near_copies(rng, "v", 40, 200, 3)
     docs = spark.createDataFrame([(i, t, "x", 1) for i, t in rows], "doc_id long, text string, part string, id long")
     got = {r["doc_id"]: (r["n_shingles"], r["component_id"]) for r in jaccard_regions.groups(docs, words=4, percent=85).collect()}
     assert got == _brute_groups(rows, 4, 85)
 
 
-def test_jaccard_link_across_pivots(spark):
-    """Groups of over MEMBERS sets, whose sets all lie near their own pivot, joined by one pair of two that are no pivots."""
+@pytest.mark.parametrize("percent", [50, 80, 85])
+@pytest.mark.parametrize("drift", [0.05, 0.1, 0.3])
+def test_voronoi_recursion_in_memory(percent, drift):
+    """Chains, tight clusters and sets at like distances: the links found join what brute force joins."""
+    rng = np.random.default_rng(int(percent * 10 + drift * 100))
+    parts, pool = [], rng.integers(1, 1 << 62, 4000, dtype=np.uint64)
+    for _ in range(6):
+        now = rng.choice(pool, 60, replace=False)
+        for _ in range(50):
+            if rng.random() < 0.3:
+                now = np.concatenate([now[rng.random(len(now)) > drift], rng.choice(pool, max(1, int(60 * drift)))])
+            near = np.concatenate([now[rng.random(len(now)) > drift / 2], rng.choice(pool, 1)])
+            parts.append(np.unique(near).tobytes())
+    sets = [set(np.frombuffer(p, np.uint64).tolist()) for p in parts]
+
+    def joined(links):
+        label = np.arange(len(sets))
+        for a, b in links:
+            label[label == label[b]] = label[a]
+        return {frozenset(np.flatnonzero(label == x).tolist()) for x in set(label.tolist())}
+
+    want = [(a, b) for a in range(len(sets)) for b in range(a) if 100 * len(sets[a] & sets[b]) >= percent * len(sets[a] | sets[b])]
+    got = jaccard_regions.solve(jaccard_regions.Sets(parts), np.arange(len(sets)), percent, np.random.default_rng(1))
+    assert set(map(lambda p: (max(p), min(p)), got)) <= set(want)
+    assert joined(got) == joined(want)
+
+
+@pytest.mark.parametrize("local", [1024, 30])
+def test_jaccard_link_across_pivots(spark, monkeypatch, local):
+    """Groups whose sets all lie near their own pivot, joined by one pair of two that are no pivots."""
+    monkeypatch.setattr(jaccard_regions, "LOCAL", local)
     core = [f"c{i}" for i in range(100)]
     group = lambda x, at, n: [(at + i, " ".join([*core, *(f"{x}{k}" for k in range(10)), f"{x}own{i}"])) for i in range(n)]
     between = [(300, " ".join([*core, *(f"a{k}" for k in range(10)), *(f"b{k}" for k in range(2))])), (301, " ".join([*core, *(f"b{k}" for k in range(10)), *(f"a{k}" for k in range(2))]))]
