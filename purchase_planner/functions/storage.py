@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import atexit
+import re
 import shutil
 import tempfile
 import threading
@@ -16,10 +17,12 @@ _open = threading.local()  # .scopes: the tables settled within each running set
 
 
 def folder(spark: SparkSession) -> str:
-    """spark.checkpoint.dir as the cluster names it; a folder of this process only where it is unset, as in tests."""
+    """spark.checkpoint.dir as the cluster names it; a folder of this machine only where it is unset and the master is local, as in tests."""
     named = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getConf().get("spark.checkpoint.dir")
     if named:
         return named
+    if not re.match(r"local(\[|$)", spark.sparkContext.master):
+        raise ValueError("set spark.checkpoint.dir to a folder that driver and executors share")
     if not _own:
         _own.append(tempfile.mkdtemp(prefix="planner-"))
         atexit.register(shutil.rmtree, _own[0], ignore_errors=True)
