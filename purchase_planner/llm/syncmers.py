@@ -19,7 +19,6 @@ from bisect import bisect_left
 from collections.abc import Iterator
 
 import numpy as np
-import pandas as pd
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -137,30 +136,27 @@ def fingerprints(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text"
 def edit_study(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", k: int = 24, s: int = 10, size: int = 64) -> DataFrame:
     """Fingerprint every text and an edited one, whose second half is the beginning of the next text by id.
 
-    Rows are dealt once, by id ranges of about even numbers of rows. The first row of each range is also sent, cut to
-    the length that the row before it can use at most, to the range before, so no task needs another task's rows.
-    A null id comes first; rows with one id are ordered by a hash of the text. Returns the columns of the
-    contract of op1.
+    Rows are dealt once, by id ranges of about even numbers of rows. The first row of each range is also sent, whole, to
+    the range before, so no task needs another task's rows. A null id comes first; rows with one id are ordered by a hash
+    of the text; other columns are not read. Returns the columns of the contract of op1.
     """
     spark = docs.sparkSession
     base = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.coalesce(F.col(text_col).cast("string"), F.lit("")).alias("body")).withColumn("at", F.coalesce("doc_id", F.lit(-(1 << 63))))
+    base = base.withColumn("tie", F.xxhash64("body"))
     width = int(spark.conf.get("spark.sql.shuffle.partitions"))
     parts = max(4 * width, 2)  # several ranges a task, so that tasks are about even
-    cuts = np.unique(np.array(base.select("at").approxQuantile("at", [i / parts for i in range(1, parts)], 0.2 / parts), np.float64))
-
-    @F.pandas_udf("int")
-    def part_of(at: pd.Series) -> pd.Series:
-        return pd.Series(np.searchsorted(cuts, at.to_numpy(np.float64)).astype(np.int32))
-
-    firsts = {r["part"]: r["first"] for r in base.select("at").withColumn("part", part_of("at")).groupBy("part").agg(F.min("at").alias("first")).collect()}  # a row a range
+    cuts = sorted({int(x) for x in base.select("at").approxQuantile("at", [i / parts for i in range(1, parts)], 0.2 / parts)})
+    part = F.size(F.filter(F.array(*map(F.lit, cuts)).cast("array<bigint>"), lambda c: c < F.col("at"))).alias("part")
+    placed = base.withColumn("part", part)
+    firsts = {r["part"]: r["first"] for r in placed.groupBy("part").agg(F.min("at").alias("first")).collect()}  # a row a range
     if not firsts:
         return spark.createDataFrame([], _SCHEMA)
     order = sorted(firsts)
     send = spark.createDataFrame([(firsts[p], order[i - 1]) for i, p in enumerate(order)], "at long, part int")  # the first of all goes to the last range
-    dealt = base.withColumn("part", part_of("at")).withColumn("lead", F.lit(False))
-    lead = base.join(F.broadcast(send), "at").withColumn("lead", F.lit(True))  # as many rows as ranges at most
-    both = dealt.unionByName(lead).select("doc_id", "body", "part", "lead", "at")
-    placed = both.repartition(width, "part").sortWithinPartitions("part", "lead", "at", F.xxhash64("body"))
+    lead = base.join(F.broadcast(send), "at").groupBy("at", "part").agg(F.min(F.struct("tie", "doc_id", "body")).alias("x"))  # a row a range
+    lead = lead.select("x.doc_id", "x.body", "at", "x.tie", "part", F.lit(True).alias("lead"))
+    both = placed.withColumn("lead", F.lit(False)).unionByName(lead).select("doc_id", "body", "part", "lead", "at", "tie")
+    placed = both.repartition(width, "part").sortWithinPartitions("part", "lead", "at", "tie")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         held: list = []  # the last row, which waits for the next one
