@@ -1,15 +1,16 @@
 """Quality classifier: supervised subword embeddings with a softmax on top, trained by stochastic gradient descent.
 
-Every word [^\\x20\\x09-\\x0D]+ and its byte n-grams (with word boundaries) are hashed to vectors; a word's vector is
-the mean of theirs, a document's the mean over its words. A word that repeats the one before it adds a vector of its
-own. After training, vectors and softmax weights fold into one number per bucket, so scoring needs one lookup per
+Every word [^\\x20\\x09-\\x0D]+ and its character n-grams (code points, with word boundaries) are hashed to vectors; a
+word's vector is the mean of theirs, a document's the mean over its words. Of the word bigrams those of one word twice
+share a vector of their own; other bigrams have none. After training, vectors and softmax weights fold into one number per bucket, so scoring needs one lookup per
 distinct feature of a slice.
 
-The training sample is bounded: the SAMPLE labelled rows of smallest hash among those that training may use (a
-documented parameter); everything else covers all rows.
+The training sample is bounded: the SAMPLE labelled rows of smallest hash among those that training may use, as far as
+their texts have SAMPLE_BYTES together (documented parameters); everything else covers all rows.
 
 Defined cases: a null or empty text has no words and scores as the model's bias says; rows keep their multiplicity;
-labels that are null are not used, of several labels for one id the largest counts; with no usable labels, or labels
+labels that are null are not used, of several labels for one id the largest counts; long texts are scored whole, slice by
+slice; carried columns may have any names; with no usable labels, or labels
 of one class only, the score is the share of label 1 (0.5 without labels).
 """
 
@@ -20,13 +21,14 @@ from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from . import _text as tx
+from ._shared import renamed, settle
 
 U = np.uint64
-SAMPLE, BUCKETS, DIMENSIONS, EPOCHS, RATE, GRAMS = 3000, 1 << 16, 8, 6, 40.0, (3, 4)
+SAMPLE, SAMPLE_BYTES, BUCKETS, DIMENSIONS, EPOCHS, RATE, GRAMS = 3000, 64 << 20, 1 << 16, 8, 6, 40.0, (3, 4)
 
 
 @dataclass
@@ -52,10 +54,14 @@ def word_features(data: np.ndarray, starts: np.ndarray, ends: np.ndarray) -> tup
         return (tx.mix((sums[b] - sums[a]) * down[a] + (b - a).astype(U) * U(0x9FB21C651E98DF25)) % U(BUCKETS - 1)).astype(np.int64) + 1
 
     buckets, owners = [hashed(first, first + lengths + 2)], [np.arange(n)]
+    # where the code points of the words with their boundaries begin, and the end of the last
+    place = np.append(np.flatnonzero((wide & 0xC0) != 0x80), len(wide))
+    begin = np.searchsorted(place, np.append(first, len(wide)))
+    points = np.diff(begin)
     for g in GRAMS:
-        count = np.maximum(lengths + 3 - g, 0)
-        at = tx.ragged(first, count)
-        buckets.append(hashed(at, at + g))
+        count = np.maximum(points + 1 - g, 0)
+        at = tx.ragged(begin[:-1], count)
+        buckets.append(hashed(place[at], place[at + g]))
         owners.append(np.repeat(np.arange(n), count))
     owner = np.concatenate(owners)
     order = np.argsort(owner, kind="stable")
@@ -133,23 +139,34 @@ def train(docs: DataFrame, labels: DataFrame, usable: Column, sample: int = SAMP
     chosen = known.orderBy(F.xxhash64("doc_id"), "doc_id").limit(sample)
     texts = docs.select("doc_id", F.coalesce(F.col("text").cast("string"), F.lit("")).alias("text")).join(F.broadcast(chosen), "doc_id")  # `sample` rows at most
     # several rows may share an id: one of them is enough
-    got = sorted((r["doc_id"], r["text"], r["y"]) for r in texts.groupBy("doc_id").agg(F.min("text").alias("text"), F.first("y").alias("y")).collect())
+    one = settle(texts.groupBy("doc_id").agg(F.min("text").alias("text"), F.first("y").alias("y")))
+    before = F.sum(F.octet_length("text")).over(Window.orderBy(F.xxhash64("doc_id"), "doc_id"))  # over `sample` rows
+    ids = one.select("doc_id", before.alias("upto")).where(F.col("upto") <= SAMPLE_BYTES).select("doc_id")
+    got = sorted((r["doc_id"], r["text"], r["y"]) for r in one.join(F.broadcast(ids), "doc_id").collect())
     return fit([t for _, t, _ in got], [y for _, _, y in got])
 
 
-def score(docs: DataFrame, model: Model, text_col: str = "text", carry: list[str] | None = None) -> DataFrame:
-    """The carried columns and the score of every text."""
+def score(docs: DataFrame, model: Model, text_col: str = "text", carry: list[str] | None = None, into: str = "score") -> DataFrame:
+    """The carried columns, whatever their names, and the score of every text in the column `into`, the last one."""
     carry = carry or ["doc_id"]
     shared = docs.sparkSession.sparkContext.broadcast(model)  # one number a bucket
-    rows = docs.select(F.col(text_col).cast("string").alias("__body"), *carry)
+    rows, names = renamed(docs)
+    rows = rows.select(F.col(names[text_col]).cast("string").alias("__body"), *[names[c] for c in carry])
     kinds = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in rows.schema.fields[1:])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for i, j, data, offsets in tx.each_slice(batch.column(0)):
-                yield pa.RecordBatch.from_arrays([*(batch.column(k)[i:j] for k in range(1, batch.num_columns)), pa.array(scores(shared.value, data, offsets))], [*batch.schema.names[1:], "score"])
+                yield pa.RecordBatch.from_arrays([*(batch.column(k)[i:j] for k in range(1, batch.num_columns)), pa.array(scores(shared.value, data, offsets))], [*batch.schema.names[1:], "__score"])
 
-    return rows.mapInArrow(run, f"{kinds}, score double")
+    return rows.mapInArrow(run, f"{kinds}, __score double").toDF(*carry, into)
+
+
+def accepted(docs: DataFrame, model: Model, least: float, text_col: str = "text") -> DataFrame:
+    """The rows of docs whose score is `least` or more, with all their columns."""
+    inner, names = renamed(docs)
+    kept = score(inner, model, names[text_col], list(names.values()), "__score").where(F.col("__score") >= least)
+    return kept.drop("__score").toDF(*docs.columns)
 
 
 def held_out(id_col: str = "doc_id") -> Column:
