@@ -1,17 +1,18 @@
 """Information-theoretic sanitisation of personal data, with DataFrame functions only.
 
-Protected entities are found by four patterns (email, ip, card, phone). Words near an entity's mentions are candidate
-terms; how strongly a term reveals the entity is its pointwise mutual information over the whole corpus, as a share of
-the entity's information content: 1 + log2(P(entity | term)) / log2(1 / P(entity)). A term that occurs with the entity
-in at least SUPPORT documents is generalised from GENERALISE on and removed from REMOVE on, in the documents that mention
-the entity. Document frequencies cover all documents.
+Protected entities are found by four patterns (email, ip, card, phone). All words of the documents that mention an entity
+are candidate terms; how strongly a term reveals the entity is its pointwise mutual information over the whole corpus, as
+a share of the entity's information content: 1 + log2(P(entity | term)) / log2(1 / P(entity)). A term that occurs with
+the entity in two different texts at least (copies of one text are no evidence) is generalised from GENERALISE on and
+removed from REMOVE on, in the documents that mention the entity. Document frequencies cover all documents.
 
 Positions are code points. They follow from the pieces between matches, whose lengths are summed in two levels, so long
 texts with many matches stay cheap. Patterns are anchored at the start of their runs and possessive where that changes no
 match, so the matcher neither recurses nor rescans long runs.
 
 Defined cases: a null or empty text has no spans; rows keep their multiplicity, rows of one id and text share their
-result; terms never overlap base spans; an empty table gives an empty result; a null id is treated like any other id.
+result; terms never overlap base spans and are compared in lower case, word by word; an empty table gives an empty result;
+a null id is treated like any other id; other columns may have any names.
 """
 
 from __future__ import annotations
@@ -19,12 +20,10 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from ._shared import settle, settle_last
+from ._shared import renamed, settle, settle_last, small
 
 KINDS = ("email", "ip", "card", "phone")
-SUPPORT, GENERALISE, REMOVE, NEAR, SHORTEST = 2, 0.75, 0.9, 4, 4
-#: A table of at most so many rows of short strings is broadcast; a larger one is joined by shuffle.
-BROADCAST_ROWS = 200_000
+GENERALISE, REMOVE = 0.75, 0.9
 #: The base patterns of the contract of op10, see the module's text for their anchors.
 PATTERNS = {
     "email": r"(?:\G|(?<![A-Za-z0-9._%+-]))[A-Za-z0-9._%+-]++@[A-Za-z0-9-]++(?:\.[A-Za-z0-9-]++)++",
@@ -34,7 +33,8 @@ PATTERNS = {
 }
 _PART = r"0*(?:[0-9]{1,2}|1[0-9][0-9]|2[0-4][0-9]|25[0-5])"
 WORD = r"\p{L}+"
-_SPAN = "array<struct<kind:string,start:int,end:int,value:string,before:string,after:string>>"
+_SPAN = "array<struct<kind:string,start:int,end:int,value:string>>"
+_TERM = "array<struct<kind:string,start:int,end:int,disclosure:double>>"
 
 
 def _possible(text: Column, kind: str) -> Column:
@@ -77,19 +77,16 @@ def _valid(kind: str, value: Column) -> Column:
     return F.lit(True)
 
 
-def _spans(kind: str, matches: Column, pieces: Column, starts: Column) -> Column:
+def _spans(kind: str, matches: Column, starts: Column) -> Column:
     def span(start: Column, i: Column) -> Column:
         value = F.get(matches, i)
-        return F.struct(
-            F.lit(kind).alias("kind"), start.alias("start"), (start + F.length(value)).alias("end"), value.alias("value"),
-            F.get(pieces, i).alias("before"), F.get(pieces, i + 1).alias("after"),
-        )
+        return F.struct(F.lit(kind).alias("kind"), start.alias("start"), (start + F.length(value)).alias("end"), value.alias("value"))
 
     return F.coalesce(F.filter(F.transform(starts, span), lambda z: _valid(kind, z["value"])), F.array().cast(_SPAN))
 
 
 def with_spans(df: DataFrame, text: str, kinds: tuple[str, ...] = KINDS) -> DataFrame:
-    """Adds a column per kind with its valid spans: kind, start, end, value and the texts up to the matches around it."""
+    """Adds a column per kind with its valid spans: kind, start, end and value."""
     body = F.col(text)
     for kind in kinds:
         pattern = PATTERNS[kind]
@@ -98,7 +95,7 @@ def with_spans(df: DataFrame, text: str, kinds: tuple[str, ...] = KINDS) -> Data
         df = df.withColumn(f"p_{kind}", F.when(F.size(f"m_{kind}") > 0, F.split(body, pattern, -1)))
         m, p = F.col(f"m_{kind}"), F.col(f"p_{kind}")
         df = df.withColumn(f"s_{kind}", F.when(p.isNotNull(), _starts(p, m)))
-        df = df.withColumn(kind, _spans(kind, m, p, F.col(f"s_{kind}")))
+        df = df.withColumn(kind, _spans(kind, m, F.col(f"s_{kind}")))
     return df.drop(*[f"{a}_{k}" for k in kinds for a in "mps"])
 
 
@@ -111,68 +108,71 @@ def _entity(z: Column) -> Column:
     return F.concat_ws(":", z["kind"], F.when(z["kind"] == "email", F.lower(z["value"])).when(z["kind"] == "ip", z["value"]).otherwise(_digits(z["value"])))
 
 
-def _near(z: Column) -> Column:
-    """The NEAR words on each side of a mention, in lower case, however far they stand within the text up to the matches around it."""
-    before = F.regexp_extract_all(z["before"], F.lit(WORD), F.lit(0))
-    after = F.regexp_extract_all(z["after"], F.lit(WORD), F.lit(0))
-    both = F.concat(F.slice(before, F.greatest(F.size(before) - NEAR + 1, F.lit(1)), F.lit(NEAR)), F.slice(after, F.lit(1), F.lit(NEAR)))
-    return F.filter(F.transform(both, F.lower), lambda w: F.length(w) >= SHORTEST)
-
-
-def _small(df: DataFrame) -> DataFrame:
-    """A written table, marked for broadcast if its row count is known to be small."""
-    return F.broadcast(df) if df.count() <= BROADCAST_ROWS else df
+def _words(text: Column) -> Column:
+    """The distinct words of a text in lower case."""
+    return F.array_distinct(F.transform(F.regexp_extract_all(text, F.lit(WORD), F.lit(0)), F.lower))
 
 
 def base_table(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """id, key (of id and text), spans of the base kinds, and one mention (entity, terms) a span; written once and reread."""
+    """id, key (of id and text), of_text (of the text), spans of the base kinds and the entities they mention; written once and reread."""
     rows = docs.select(F.col(id_col).alias("id"), F.coalesce(F.col(text_col).cast("string"), F.lit("")).alias("body"))
     found = with_spans(rows, "body").withColumn("base", F.concat(*KINDS))
-    mentions = F.transform("base", lambda z: F.struct(_entity(z).alias("entity"), _near(z).alias("terms")))
     slim = F.transform("base", lambda z: F.struct(z["kind"].alias("kind"), z["start"].alias("start"), z["end"].alias("end")))
-    return settle(found.select("id", F.xxhash64("id", "body").alias("key"), slim.alias("base"), mentions.alias("mentions")))
+    return settle(found.select("id", F.xxhash64("id", "body").alias("key"), F.xxhash64("body").alias("of_text"), slim.alias("base"), F.array_distinct(F.transform("base", _entity)).alias("entities")))
 
 
-def disclosing_terms(docs: DataFrame, base: DataFrame, text_col: str = "text") -> DataFrame:
+def disclosing_terms(docs: DataFrame, base: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """key, terms: for every document that mentions an entity, the terms that disclose it, with their disclosure."""
-    said = base.where(F.size("mentions") > 0).select("key", "id", F.explode("mentions").alias("m")).select("key", "id", F.col("m.entity").alias("entity"), "m.terms")
+    rows = base.where(F.size("entities") > 0).select("key", "of_text", F.explode("entities").alias("entity"))
+    # an entity of one text can have no terms
+    counts = settle(rows.groupBy("entity").agg(F.count("*").alias("n_entity"), F.min("of_text").alias("a"), F.max("of_text").alias("b")).where("a <> b").drop("a", "b"))
+    said = settle(rows.join(counts.select("entity"), "entity").select("key", "of_text", F.xxhash64("entity").alias("entity")).distinct())
+    counts = counts.select(F.xxhash64("entity").alias("entity"), "n_entity")
     documents = docs.count()
-    counts = said.select("key", "entity", "id").groupBy("entity").agg(F.countDistinct("key").alias("n_entity"))
-    pairs = said.select("key", "entity", F.explode("terms").alias("term")).distinct().groupBy("entity", "term").agg(F.count("*").alias("together")).where(F.col("together") >= SUPPORT)
-    pairs = settle(pairs.join(counts, "entity"))
-    wanted = _small(settle(pairs.select("term").distinct()))
-    words = F.explode(F.array_distinct(F.regexp_extract_all(F.lower(F.col(text_col).cast("string")), F.lit(WORD), F.lit(0))))
-    # counted before the join, so that the join has a row a term and not one a term and document
-    frequency = docs.select(words.alias("term")).where(F.length("term") >= SHORTEST).groupBy("term").agg(F.count("*").alias("n_term")).join(wanted, "term")
+    body = F.coalesce(F.col(text_col).cast("string"), F.lit(""))
+    words = docs.select(F.xxhash64(F.col(id_col), body).alias("key"), body.alias("body"))
+    keys = settle(said.select("key").distinct())
+    holding = settle(words.join(small(keys, F.lit(16)), "key", "left_semi").select("key", _words(F.col("body")).alias("words")))
+    met = said.join(holding, "key").select("key", "of_text", "entity", F.explode("words").alias("term"))
+    pairs = met.groupBy("entity", "term").agg(F.count("*").alias("together"), F.min("of_text").alias("a"), F.max("of_text").alias("b")).where("a <> b").drop("a", "b")
     n = F.lit(float(max(documents, 2)))
     content = F.log2(n / F.least(F.col("n_entity"), n - 1))
+    pairs = settle(pairs.join(counts, "entity"))
+    wanted = pairs.select("term").distinct()
+    # counted before the join, so that the join has a row a term and not one a term and document
+    frequency = docs.select(F.explode(_words(F.col(text_col).cast("string"))).alias("term")).groupBy("term").agg(F.count("*").alias("n_term")).join(wanted, "term")
     share = F.least(F.lit(1.0), F.col("together") / F.col("n_term"))
     strong = pairs.join(frequency, "term").withColumn("disclosure", 1 + F.log2(share) / content).where(F.col("disclosure") >= GENERALISE)
     strong = settle(strong.select("entity", "term", "disclosure"))
-    per = said.select("key", "entity").distinct().join(strong, "entity").groupBy("key", "term").agg(F.max("disclosure").alias("disclosure"))
-    return settle(per.groupBy("key").agg(F.sort_array(F.collect_list(F.struct("term", "disclosure"))).alias("terms")))
+    # the terms that a document has, not all those of its entities
+    per = met.select("key", "entity", "term").join(strong, ["entity", "term"]).groupBy("key", "term").agg(F.max("disclosure").alias("disclosure"))
+    return settle(per.groupBy("key").agg(F.map_from_entries(F.collect_list(F.struct("term", "disclosure"))).alias("terms")))
+
+
+def _bytes(terms: str) -> Column:
+    return F.lit(64) + F.coalesce(F.aggregate(F.map_keys(terms), F.lit(0), lambda a, t: a + F.length(t) * 4 + 24), F.lit(0))
 
 
 def _term_spans(df: DataFrame, text: str) -> DataFrame:
     """Adds term_spans: where the document's terms stand as whole words outside base spans."""
     body = F.col(text)
-    pattern = F.concat(F.lit(r"(?<!\p{L})(?:"), F.array_join(F.transform("terms", lambda t: t["term"]), "|"), F.lit(r")(?!\p{L})"))
-    df = df.withColumn("low", F.when(F.length(F.lower(body)) == F.length(body), F.lower(body)).otherwise(body)).withColumn("pattern", pattern)
-    df = df.withColumn("m", F.when(F.col("terms").isNotNull(), F.expr("regexp_extract_all(low, pattern, 0)"))).withColumn("p", F.when(F.size("m") > 0, F.expr("split(low, pattern, -1)")))
+    df = df.withColumn("m", F.when(F.col("terms").isNotNull(), F.regexp_extract_all(body, F.lit(WORD), F.lit(0)))).withColumn("p", F.when(F.size("m") > 0, F.split(body, WORD, -1)))
     df = df.withColumn("s", F.when(F.col("p").isNotNull(), _starts(F.col("p"), F.col("m"))))
-    worth = F.map_from_entries("terms")
-    spans = F.transform("s", lambda x, i: F.struct(F.lit("term").alias("kind"), x.alias("start"), (x + F.length(F.get(F.col("m"), i))).alias("end"), F.element_at(worth, F.get(F.col("m"), i)).alias("disclosure")))
-    clear = F.filter(spans, lambda z: ~F.exists(F.col("base"), lambda b: (b["start"] < z["end"]) & (z["start"] < b["end"])))
-    return df.withColumn("term_spans", F.coalesce(clear, F.array().cast("array<struct<kind:string,start:int,end:int,disclosure:double>>"))).drop("low", "pattern", "m", "p", "s")
+    worth = lambda i: F.try_element_at(F.col("terms"), F.lower(F.get(F.col("m"), i)))
+    spans = F.transform("s", lambda x, i: F.struct(F.lit("term").alias("kind"), x.alias("start"), (x + F.length(F.get(F.col("m"), i))).alias("end"), worth(i).alias("disclosure")))
+    known = F.filter(spans, lambda z: z["disclosure"].isNotNull())
+    clear = F.filter(known, lambda z: ~F.exists(F.col("base"), lambda b: (b["start"] < z["end"]) & (z["start"] < b["end"])))
+    return df.withColumn("term_spans", F.coalesce(clear, F.array().cast(_TERM))).drop("m", "p", "s")
 
 
 def found(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """id, base (spans) and term_spans of every document."""
     base = base_table(docs, id_col, text_col)
-    terms = _small(disclosing_terms(docs, base, text_col))
+    terms = disclosing_terms(docs, base, id_col, text_col)
+    terms = small(terms, _bytes("terms"))
     rows = docs.select(F.col(id_col).alias("id"), F.coalesce(F.col(text_col).cast("string"), F.lit("")).alias("body")).withColumn("key", F.xxhash64("id", "body"))
     holding = _term_spans(rows.join(terms, "key").join(base.select("key", "base").dropDuplicates(["key"]), "key"), "body").select("key", "term_spans").dropDuplicates(["key"])
-    return base.join(holding, "key", "left").select(F.col("id").alias(id_col), "base", F.coalesce("term_spans", F.array().cast("array<struct<kind:string,start:int,end:int,disclosure:double>>")).alias("term_spans"))
+    return base.join(holding, "key", "left").select(F.col("id").alias(id_col), "base", F.coalesce("term_spans", F.array().cast(_TERM)).alias("term_spans"))
 
 
 def report(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
@@ -189,15 +189,17 @@ def report(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> D
 def sanitised(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """docs with personal data replaced by its kind, disclosing terms generalised or removed; n_chars, where there, follows."""
 
+    inner, names = renamed(docs)
+    text, id_ = names[text_col], names[id_col]
+
     def spans_and_terms() -> DataFrame:
-        base = base_table(docs, id_col, text_col)
-        return base.where(F.size("base") > 0).select("key", "base").dropDuplicates(["key"]).join(disclosing_terms(docs, base, text_col), "key", "left")
+        base = base_table(inner, id_, text)
+        return base.where(F.size("base") > 0).select("key", "base").dropDuplicates(["key"]).join(disclosing_terms(inner, base, id_, text), "key", "left")
 
     wanted = settle_last(spans_and_terms)
-    marked = docs.withColumn("__body", F.coalesce(F.col(text_col).cast("string"), F.lit(""))).withColumn("key", F.xxhash64(F.col(id_col), F.col("__body")))
-    names = [f"__{i}" for i in range(len(docs.columns))]
-    renamed = marked.select(*[F.col(c).alias(n) for c, n in zip(docs.columns, names, strict=True)], "key", "__body")
-    rows = _term_spans(renamed.join(_small(wanted), "key", "left").withColumn("base", F.coalesce("base", F.array().cast("array<struct<kind:string,start:int,end:int>>"))), "__body")
+    wanted = small(wanted, _bytes("terms") + F.size("base") * 48)
+    marked = inner.withColumn("__body", F.coalesce(F.col(text).cast("string"), F.lit(""))).withColumn("key", F.xxhash64(F.col(id_), F.col("__body")))
+    rows = _term_spans(marked.join(wanted, "key", "left").withColumn("base", F.coalesce("base", F.array().cast("array<struct<kind:string,start:int,end:int>>"))), "__body")
     word = lambda z: F.when(z["disclosure"] >= REMOVE, F.lit("")).when(F.substring(F.col("__body"), z["start"] + 1, F.lit(1)).rlike(r"\p{Lu}"), F.lit("[NAME]")).otherwise(F.lit("[WORD]"))
     cuts = F.concat(
         F.transform("base", lambda z: F.struct(z["start"].alias("start"), z["end"].alias("end"), F.concat(F.lit("["), F.upper(z["kind"]), F.lit("]")).alias("by"))),
@@ -216,9 +218,8 @@ def sanitised(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -
     piece = F.transform(cut, lambda z, i: F.concat(F.substring(body, F.coalesce(F.get(cut, i - 1)["end"], F.lit(0)) + 1, z["start"] - F.coalesce(F.get(cut, i - 1)["end"], F.lit(0))), z["by"]))
     last = F.get(cut, F.size(cut) - 1)["end"]
     rewritten = F.concat(F.array_join(piece, ""), F.substring(body, last + 1, F.length(body)))
-    text = names[docs.columns.index(text_col)]
     rows = rows.withColumn(text, F.when(cut.isNotNull(), rewritten).otherwise(F.col(text)))
     if "n_chars" in docs.columns:
-        n = names[docs.columns.index("n_chars")]
+        n = names["n_chars"]
         rows = rows.withColumn(n, F.when(cut.isNotNull(), F.length(text).cast("long")).otherwise(F.col(n)))
-    return rows.select(*[F.col(n).alias(c) for c, n in zip(docs.columns, names, strict=True)])
+    return rows.select(*[F.col(n).alias(c) for c, n in names.items()])
