@@ -271,9 +271,10 @@ def vocabulary_of(path: str) -> Vocabulary:
 
 
 def encode(spark: SparkSession, docs: DataFrame, path: str, id_col: str = "doc_id", text_col: str = "text", carry: list[str] | None = None) -> DataFrame:
-    """The id column, the columns in carry, and `ids` array<int> of every text."""
+    """The id column, the columns in carry, and `ids` array<int> of every text. A carried column named ids gives way to the result's own."""
+    carry = [c for c in carry or [] if c not in ("ids", id_col)]
     shared = spark.sparkContext.broadcast(vocabulary_of(path))
-    rows = docs.select(F.col(text_col).cast("string").alias("__body"), F.col(id_col), *(carry or []))
+    rows = docs.select(F.col(text_col).cast("string").alias("__body"), F.col(id_col), *carry)
     kinds = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in rows.schema.fields[1:])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -300,9 +301,9 @@ def decode(spark: SparkSession, encoded: DataFrame, path: str, id_col: str = "do
 
 
 def round_trip(spark: SparkSession, docs: DataFrame, path: str, id_col: str = "doc_id", text_col: str = "text", carry: list[str] | None = None) -> DataFrame:
-    """Encode and decode in one pass: n_tokens, ids_sha256 and decoded_sha256 of every text, plus the columns in carry."""
+    """Encode and decode in one pass: n_tokens, ids_sha256 and decoded_sha256 of every text, plus the columns in carry; the result's own columns go before carried ones of their names."""
     shared = spark.sparkContext.broadcast(vocabulary_of(path))
-    carry = carry or []
+    carry = [c for c in carry or [] if c not in ("n_tokens", "ids_sha256", "decoded_sha256", id_col)]
     rows = docs.select(F.col(text_col).cast("string").alias("__body"), F.col(id_col), *carry)
     kinds = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in rows.schema.fields[1:])
 
