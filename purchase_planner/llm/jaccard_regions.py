@@ -51,7 +51,7 @@ LOCAL, LOCAL_BYTES, RADIUS = 1024, 32 << 20, 0.5
 EPS = 1e-9
 GROUP = ["region", "salt", "chunk"]
 #: A table of at most so many ids is broadcast (16 bytes a row and the hash table); a larger one is joined by shuffle.
-BROADCAST_IDS = 1_000_000
+BROADCAST_IDS = 250_000
 
 
 def shingle_sets(data: np.ndarray, offsets: np.ndarray, words: int) -> list[np.ndarray]:

@@ -93,6 +93,29 @@ def test_layout():
     assert html_layout.render("<ol start=3><li>x<li>y</ol></p><script>no")[0].startswith("3. x\n4. y")
 
 
+def test_layout_spans_and_visibility():
+    render = lambda x: html_layout.render(x)[0]
+    assert render("<table><tr><td rowspan=2>a<td>b<tr><td>c</table>") == "a | b\n  | c"
+    assert render("<table><tr><td colspan=2>a<td>b<tr><td>1<td>2<td>3</table>") == "a |   | b\n1 | 2 | 3"
+    assert render('<div style="visibility:hidden">x<b style="visibility:visible">y</b>z</div>') == "y"
+    assert render('<style>p.a.b{display:none} .q{visibility:hidden}</style><p class="a b">no<p class="a">yes<p class=q>no') == "yes"
+    assert render("hello <p class=x") == "hello" and render('<a href="x>y">t</a>') == "t"
+    assert render("x<script>if(a<b){}</script >y") == "xy"
+
+
+@pytest.mark.parametrize("unit", ["<a ", "<div>", "<div></span>", '<a href="', "<script></script ", "<li><b>", "<td><b></div>", "<p><b>"])
+def test_layout_is_linear(unit):
+    import time
+
+    def seconds(n):
+        began = time.process_time()
+        html_layout.render("<div>" * n + unit * n)
+        return time.process_time() - began
+
+    seconds(500)
+    assert seconds(16000) < 24 * max(seconds(2000), 0.01)
+
+
 def test_layout_of_tables(spark, none):
     pages = spark.createDataFrame([(1, None, "x"), (2, "<p>a</p>", "x"), (2, "<p>a</p>", "x")], "page_id long, html string, text string")
     assert sorted((r["page_id"], r["text"]) for r in html_layout.texts(pages).collect()) == [(1, ""), (2, "a"), (2, "a")]
@@ -197,6 +220,79 @@ def test_jaccard_edges(spark, odd, none):
     assert jaccard_regions.groups(nulls).count() == 3
 
 
+def test_link_targets(spark):
+    cases = [
+        ("http://a.com/x/y?q=1", "/p", "http://a.com/p"), ("http://a.com/x/y", "p.html", "http://a.com/x/p.html"), ("https://a.com", "p", "https://a.com/p"),
+        ("http://a.com/x/y", "//b.net/es/1", "http://b.net/es/1"), ("http://a.com/x/y/z", "../p", "http://a.com/x/p"), ("http://a.com/x", "?b=2", "http://a.com/x?b=2"),
+        ("http://a.com/x", "#top", None), ("http://a.com/x", "mailto:a@b.c", None), ("http://a.com/x", "https://c.org/?a=1&amp;b=2", "https://c.org/?a=1&b=2"), ("nowhere", "/p", None),
+    ]
+    df = spark.createDataFrame(cases, "base string, ref string, want string")
+    got = df.withColumn("got", url_aliases.resolved(F.col("base"), url_aliases.decoded(F.col("ref")))).collect()
+    assert [r["got"] for r in got] == [r["want"] for r in got]
+    html = '<base href="http://q.net/es/"><link rel="canonical" href=\'1\'><meta http-equiv=refresh content="0; url=/fr/2">'
+    pages = spark.createDataFrame([(1, "http://a.org/x", html), (2, "http://b.org/x", None), (3, None, html)], "page_id long, url string, html string")
+    edges = {tuple(r) for r in url_aliases.link_edges(pages).collect()}
+    assert edges == {("http://a.org/x", "http://q.net/es/1"), ("http://a.org/x", "http://q.net/fr/2")}
+
+
+def test_chains_and_hubs_of_links(spark):
+    """A long chain ends in a blocked address, a hub's spokes hold one allowed address, and a lone page has neither."""
+    chain = [(f"http://c{i}.org/x", f"http://c{i + 1}.org/x") for i in range(60)] + [("http://c60.org/x", "http://k.net/es/1")]
+    hub = [(f"http://h{i}.org/x", "http://hub.org/y") for i in range(200)] + [("http://hub.org/y", "http://k.net/fr/9"), ("http://h7.org/x", "http://good.com/z")]
+    urls = ["http://c0.org/x", "http://c30.org/x", "http://h150.org/x", "http://hub.org/y", "http://lone.org/"]
+    pages = spark.createDataFrame([(i, u, None, 5) for i, u in enumerate(urls)], "page_id long, url string, html string, host int")
+    links = spark.createDataFrame(chain + hub, "src string, dst string")
+    got = {r["page_id"]: r["verdict"] for r in url_aliases.judge(pages, redirects=links).collect()}
+    assert got == {0: "block", 1: "block", 2: "allow", 3: "allow", 4: "allow"}
+    assert {r["verdict"] for r in url_aliases.judge(pages, redirects=links.limit(0), default="block").collect()} == {"block"}
+
+
+def test_quality_on_held_out_labels(spark):
+    """Ranking of labels that training never sees, and scores of columns with inner names."""
+    d = "/root/testdata/sf0.01"
+    docs, labels = spark.read.parquet(f"{d}/documents.parquet"), spark.read.parquet(f"{d}/labels.parquet")
+    model = subword_quality.train(docs, labels, ~subword_quality.held_out())
+    scored = subword_quality.score(docs, model).join(labels.where(subword_quality.held_out()), "doc_id").select("score", "quality").toPandas()
+    good, bad = scored[scored["quality"] == 1]["score"].to_numpy(), scored[scored["quality"] == 0]["score"].to_numpy()
+    assert len(good) > 20 and len(bad) > 5
+    assert (good[:, None] > bad[None, :]).mean() > 0.95
+    odd = docs.limit(5).withColumn("score", F.lit(7)).withColumn("__body", F.lit("b")).withColumn("__score", F.lit(1.0))
+    assert subword_quality.accepted(odd, model, 0.0).columns == odd.columns and subword_quality.accepted(odd, model, 0.0).count() == 5
+
+
+def test_quality_grams_are_characters():
+    texts = ["Ünï", "U"]
+    for t in texts:
+        raw = np.frombuffer(t.encode(), np.uint8)
+        _, counts = subword_quality.word_features(raw, np.array([0]), np.array([len(raw)]))
+        assert counts[0] == 1 + sum(max(len(t) + 2 + 1 - g, 0) for g in subword_quality.GRAMS)
+
+
+INNER = "key base body terms entries d t rows score place tie copy size before source_size label region id n part s f1 f2 rep lone".split()
+
+
+def test_stages_with_columns_of_inner_names(spark):
+    """Columns named as the stages' own, nulls, a text of a megabyte, repeated rows and no rows at all."""
+    rows = [(i, t, "en", None if i % 2 else "s", len(t or "")) for i, t in enumerate(["a b c d e f", None, "", "same text of a few words here", "same text of a few words here", "x y " * 250_000, "call a@b.org now"])]
+    docs = spark.createDataFrame([*rows, rows[0], rows[0]], "doc_id long, text string, lang string, source string, n_chars long")
+    docs = docs.select("*", *[F.lit(k).alias(c) for k, c in enumerate(INNER)])
+    model = subword_quality.Model(np.zeros(subword_quality.BUCKETS), 0.0)
+    stages = {"quality": lambda x: subword_quality.accepted(x, model, 0.3), "near": jaccard_regions.deduplicated, "private": pii_disclosure.sanitised, "mix": curriculum.mixed}
+    for name, f in stages.items():
+        out = f(docs)
+        assert out.columns == docs.columns, name
+        got = out.collect()
+        assert all(r[c] == k for r in got for k, c in enumerate(INNER)), name
+        if name in ("quality", "private"):
+            assert len(got) == docs.count()
+        if name == "near":
+            assert len(got) == 6
+        if name == "mix":
+            per = curriculum.plan(docs).toPandas()
+            assert sum(len((r["text"] or "").split()) for r in got) == per["taken"].sum()
+        assert f(docs.limit(0)).count() == 0, name
+
+
 def test_mix(spark, odd, none):
     plan = curriculum.plan(odd).toPandas()
     assert len(plan) == odd.count() and (plan["taken"] <= 2 * plan["size"]).all()
