@@ -1,7 +1,9 @@
 """A training corpus from documents: quality, near duplicates, personal data, mixing, encoding.
 
 Each stage takes (spark, docs, sf_dir) and works on all rows that the one before kept; its result is written as Parquet
-and reread as the next one's docs. All but the last return the columns of documents.
+and reread as the next one's docs. All but the last return the columns of documents, further ones included, whatever their
+names. Null and empty texts score as the model's bias says, are near copies of nothing, hold no personal data, and have no
+words, so the mixture takes none of them; repeated rows are near copies; an empty table gives an empty result.
 """
 
 from __future__ import annotations
@@ -21,7 +23,7 @@ def quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Rejects documents whose score is below KEEP_FROM; the model learns from the labels that are not held out."""
     ship(spark)
     model = subword_quality.train(docs, spark.read.parquet(f"{sf_dir}/labels.parquet"), ~subword_quality.held_out())
-    return subword_quality.score(docs, model, carry=docs.columns).where(F.col("score") >= KEEP_FROM).select(*docs.columns)
+    return subword_quality.accepted(docs, model, KEEP_FROM)
 
 
 def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
