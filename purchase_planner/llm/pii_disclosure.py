@@ -46,14 +46,15 @@ def _sum(lengths: Column) -> Column:
     return F.aggregate(lengths, F.lit(0), lambda a, x: a + x)
 
 
-def _starts(pieces: Column, matches: Column, chunk: int = 128) -> Column:
-    """The code point at which each match starts."""
-    steps = F.zip_with(F.slice(pieces, 1, F.size(matches)), matches, lambda p, m: F.length(p) + F.length(m))
-    sums = F.transform(F.sequence(F.lit(0), (F.size(matches) / chunk).cast("int")), lambda c: _sum(F.slice(steps, c * chunk + 1, F.lit(chunk))))
-    return F.transform(
-        matches,
-        lambda _, i: _sum(F.slice(sums, F.lit(1), (i / chunk).cast("int"))) + _sum(F.slice(steps, (i / chunk).cast("int") * chunk + 1, i % chunk)) + F.length(F.get(pieces, i)),
-    )
+def _with_starts(df: DataFrame, pieces: str, matches: str, into: str, chunk: int = 128) -> DataFrame:
+    """Adds the code point at which each match starts. Steps and their sums are columns of their own, so that they are computed once a row."""
+    steps, sums = f"__steps_{into}", f"__sums_{into}"
+    df = df.withColumn(steps, F.when(F.col(pieces).isNotNull(), F.zip_with(F.slice(pieces, 1, F.size(matches)), matches, lambda p, m: F.length(p) + F.length(m))))
+    of_chunks = F.transform(F.sequence(F.lit(0), (F.size(matches) / chunk).cast("int")), lambda c: _sum(F.slice(steps, c * chunk + 1, F.lit(chunk))))
+    df = df.withColumn(sums, F.when(F.col(steps).isNotNull(), of_chunks))
+    before = lambda i: _sum(F.slice(sums, F.lit(1), (i / chunk).cast("int"))) + _sum(F.slice(steps, (i / chunk).cast("int") * chunk + 1, i % chunk))
+    starts = F.transform(matches, lambda _, i: before(i) + F.length(F.get(F.col(pieces), i)))
+    return df.withColumn(into, F.when(F.col(sums).isNotNull(), starts)).drop(steps, sums)
 
 
 def _digits(value: Column) -> Column:
@@ -93,9 +94,8 @@ def with_spans(df: DataFrame, text: str, kinds: tuple[str, ...] = KINDS) -> Data
         df = df.withColumn(f"m_{kind}", F.when(_possible(body, kind), F.regexp_extract_all(body, F.lit(pattern), F.lit(0))))
         # most texts have no match; only the others are cut into pieces
         df = df.withColumn(f"p_{kind}", F.when(F.size(f"m_{kind}") > 0, F.split(body, pattern, -1)))
-        m, p = F.col(f"m_{kind}"), F.col(f"p_{kind}")
-        df = df.withColumn(f"s_{kind}", F.when(p.isNotNull(), _starts(p, m)))
-        df = df.withColumn(kind, _spans(kind, m, F.col(f"s_{kind}")))
+        df = _with_starts(df, f"p_{kind}", f"m_{kind}", f"s_{kind}")
+        df = df.withColumn(kind, _spans(kind, F.col(f"m_{kind}"), F.col(f"s_{kind}")))
     return df.drop(*[f"{a}_{k}" for k in kinds for a in "mps"])
 
 
@@ -157,7 +157,7 @@ def _term_spans(df: DataFrame, text: str) -> DataFrame:
     """Adds term_spans: where the document's terms stand as whole words outside base spans."""
     body = F.col(text)
     df = df.withColumn("m", F.when(F.col("terms").isNotNull(), F.regexp_extract_all(body, F.lit(WORD), F.lit(0)))).withColumn("p", F.when(F.size("m") > 0, F.split(body, WORD, -1)))
-    df = df.withColumn("s", F.when(F.col("p").isNotNull(), _starts(F.col("p"), F.col("m"))))
+    df = _with_starts(df, "p", "m", "s")
     worth = lambda i: F.try_element_at(F.col("terms"), F.lower(F.get(F.col("m"), i)))
     spans = F.transform("s", lambda x, i: F.struct(F.lit("term").alias("kind"), x.alias("start"), (x + F.length(F.get(F.col("m"), i))).alias("end"), worth(i).alias("disclosure")))
     known = F.filter(spans, lambda z: z["disclosure"].isNotNull())
@@ -201,19 +201,20 @@ def sanitised(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -
     marked = inner.withColumn("__body", F.coalesce(F.col(text).cast("string"), F.lit(""))).withColumn("key", F.xxhash64(F.col(id_), F.col("__body")))
     rows = _term_spans(marked.join(wanted, "key", "left").withColumn("base", F.coalesce("base", F.array().cast("array<struct<kind:string,start:int,end:int>>"))), "__body")
     word = lambda z: F.when(z["disclosure"] >= REMOVE, F.lit("")).when(F.substring(F.col("__body"), z["start"] + 1, F.lit(1)).rlike(r"\p{Lu}"), F.lit("[NAME]")).otherwise(F.lit("[WORD]"))
-    cuts = F.concat(
-        F.transform("base", lambda z: F.struct(z["start"].alias("start"), z["end"].alias("end"), F.concat(F.lit("["), F.upper(z["kind"]), F.lit("]")).alias("by"))),
-        F.transform("term_spans", lambda z: F.struct(z["start"].alias("start"), z["end"].alias("end"), word(z).alias("by"))),
-    )
-    rows = rows.withColumn("cuts", F.when(F.size("base") > 0, F.sort_array(cuts)))
-    # overlapping spans of several kinds become one, named by the first
     kind = "array<struct<start:int,end:int,by:string>>"
+    named = F.transform("base", lambda z: F.struct(z["start"].alias("start"), z["end"].alias("end"), F.concat(F.lit("["), F.upper(z["kind"]), F.lit("]")).alias("by")))
+    rows = rows.withColumn("cuts", F.when(F.size("base") > 0, F.sort_array(named)))
+    # overlapping spans of several kinds become one, named by the first; terms overlap nothing
     merge = F.aggregate(
         "cuts",
         F.array().cast(kind),
         lambda out, z: F.when((F.size(out) > 0) & (F.get(out, F.size(out) - 1)["end"] > z["start"]), F.concat(F.slice(out, F.lit(1), F.size(out) - 1), F.array(F.struct(F.get(out, F.size(out) - 1)["start"].alias("start"), F.greatest(F.get(out, F.size(out) - 1)["end"], z["end"]).alias("end"), F.get(out, F.size(out) - 1)["by"].alias("by"))))).otherwise(F.concat(out, F.array(z))),
     )
+    touching = F.exists(F.sequence(F.lit(1), F.size("cuts") - 1), lambda i: F.get("cuts", i - 1)["end"] > F.get("cuts", i)["start"])
+    merge = F.when(F.size("cuts") < 2, F.col("cuts")).when(touching, merge).otherwise(F.col("cuts"))
     rows = rows.withColumn("cuts", F.when(F.col("cuts").isNotNull(), merge))
+    replaced = F.transform("term_spans", lambda z: F.struct(z["start"].alias("start"), z["end"].alias("end"), word(z).alias("by")))
+    rows = rows.withColumn("cuts", F.when(F.col("cuts").isNotNull(), F.sort_array(F.concat("cuts", replaced))))
     body, cut = F.col("__body"), F.col("cuts")
     piece = F.transform(cut, lambda z, i: F.concat(F.substring(body, F.coalesce(F.get(cut, i - 1)["end"], F.lit(0)) + 1, z["start"] - F.coalesce(F.get(cut, i - 1)["end"], F.lit(0))), z["by"]))
     last = F.get(cut, F.size(cut) - 1)["end"]
