@@ -7,7 +7,7 @@ measures (see plans.evaluate). Entropies are in bits. A set of attributes is a l
 
 from __future__ import annotations
 
-from collections.abc import Iterable, Sequence
+from collections.abc import Callable, Iterable, Sequence
 from dataclasses import dataclass
 from functools import reduce
 
@@ -16,8 +16,8 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 W = "__w"
-#: Value ranges into which running sums over a numeric attribute are cut.
-RANGES = 1024
+#: Running sums over a numeric attribute are cut at so many quantiles of its values, and each part into as many equal widths.
+RANGES = 32
 
 
 @dataclass(frozen=True)
@@ -154,12 +154,35 @@ def discover_afds(df: DataFrame, attributes: Sequence[str] | None = None, max_lh
     return found
 
 
+def grouping(columns: Sequence[str], group: Iterable[str]) -> int:
+    """The grouping id of one set among the grouping columns: a bit for each column left out, the first one highest."""
+    group = set(group)
+    return sum(1 << (len(columns) - 1 - i) for i, c in enumerate(columns) if c not in group)
+
+
+def rolled_up(df: DataFrame, sets: Sequence[Sequence[str]], weight: str | None = None) -> tuple[DataFrame, list[str]]:
+    """Counts W of many attribute sets, each set told by its grouping id in `gid`, and the columns: those outside a set are null.
+
+    The frame is collapsed to the attributes of all sets first, so it is the collapsed rows that grouping sets multiply.
+    """
+    columns = list(dict.fromkeys(a for s in sets for a in s))
+    fine = counted(df, columns, weight)
+    distinct = [list(s) for s in {frozenset(s): s for s in sets}.values()]
+    out = fine.groupingSets([[F.col(a) for a in s] for s in distinct], *columns).agg(F.sum(W).alias(W), F.grouping_id().alias("gid"))
+    return out, columns
+
+
 def _batch_qualities(df: DataFrame, fds: Sequence[FD]) -> list[float | None]:
-    text = lambda a: F.coalesce(F.concat(F.lit("="), F.col(a).cast("string")), F.lit("0"))
-    sides = F.array(*[F.struct(F.lit(k).alias("k"), F.xxhash64(*map(text, fd.lhs)).alias("x"), F.md5(F.concat_ws("\x1f", *map(text, fd.lhs))).alias("x2"), text(fd.rhs).alias("y")) for k, fd in enumerate(fds)])
-    long = df.select(F.explode(sides).alias("s")).select("s.k", "s.x", "s.x2", "s.y")
-    per = long.groupBy("k", "x", "x2", "y").agg(F.count("*").alias("c")).groupBy("k", "x", "x2").agg(F.max("c").alias("m"), F.sum("c").alias("n"))
-    got = {r["k"]: r["q"] for r in per.groupBy("k").agg((F.sum("m") / F.sum("n")).alias("q")).collect()}
+    counts, columns = rolled_up(df, [fd.attributes for fd in fds])
+    of: dict[int, list[int]] = {}
+    for k, fd in enumerate(fds):
+        of.setdefault(grouping(columns, fd.attributes), []).append(k)
+    # each count serves all dependencies over its attributes; what is not on their left side is blanked
+    serves = F.create_map(*[x for gid, ks in of.items() for x in (F.lit(gid).cast("long"), F.array(*map(F.lit, ks)))])
+    long = counts.withColumn("__fd", F.explode(serves[F.col("gid").cast("long")]))
+    keys = [F.when(F.col("__fd").isin([k for k, fd in enumerate(fds) if a in fd.lhs]), F.col(a)).alias(a) for a in columns]
+    per = long.select("__fd", *keys, W).groupBy("__fd", *columns).agg(F.max(W).alias("m"), F.sum(W).alias("n"))
+    got = {r["__fd"]: r["q"] for r in per.groupBy("__fd").agg((F.sum("m") / F.sum("n")).alias("q")).collect()}  # a row a dependency
     return [got.get(k) for k in range(len(fds))]
 
 
@@ -226,17 +249,53 @@ def informativeness_outer_df(left: DataFrame, right: DataFrame, join: Sequence[s
 
 def informativeness_matrix(instances: dict[str, DataFrame], join: Sequence[str]) -> DataFrame:
     """(src, dst, ji, join_rows) of all pairs of instances that hold `join`, in one pass over a tagged union."""
+    return informativeness_of_sets({n: df.select(*join) for n, df in instances.items()}, [tuple(join)]).drop("j")
+
+
+def informativeness_of_sets(instances: dict[str, DataFrame], joins: Sequence[Sequence[str]], kept: Callable[[Sequence[str], Column], Column] | None = None) -> DataFrame:
+    """(src, dst, j, ji, join_rows) of all pairs of instances and of all given join sets that both hold.
+
+    Each instance is read once: it is collapsed to its join attributes and rolled up to all its sets. The counts of all
+    instances meet in one shuffle by set and key, as a short list a key; pairs are formed after that aggregate, so their
+    number multiplies keys, not expressions. kept: the count that a sample keeps of a key, from the set and the count.
+    """
     names = sorted(instances)
+    sets = [tuple(j) for j in joins]
+    columns = list(dict.fromkeys(a for j in sets for a in j))
     union = None
     for k, name in enumerate(names):
-        one = counted(instances[name], join).withColumn("k", F.lit(k))
+        own = [s for s in sets if set(s) <= set(instances[name].columns)]
+        if not own:
+            continue
+        counts, cols = rolled_up(instances[name], own)
+        number_of = F.create_map(*[x for s in own for x in (F.lit(grouping(cols, s)).cast("long"), F.lit(sets.index(s)))])
+        one = counts.select(number_of[F.col("gid").cast("long")].alias("__j"), *[F.col(c) if c in cols else F.lit(None).alias(c) for c in columns], F.lit(k).alias("__k"), F.col(W))
+        if kept is not None:
+            share = F.lit(None).cast("long")
+            for i, s in enumerate(sets):
+                if s in own:
+                    share = F.when(F.col("__j") == i, kept(s, F.col(W))).otherwise(share)
+            one = one.withColumn(W, share).where(F.col(W) > 0)
         union = one if union is None else union.unionByName(one)
-    per = union.groupBy(*join).agg(*[F.sum(F.when(F.col("k") == k, F.col(W)).otherwise(0)).alias(f"c{k}") for k in range(len(names))])
-    pairs = [(i, j) for i in range(len(names)) for j in range(i + 1, len(names))]
-    sums = per.agg(*[F.coalesce(F.sum(c), F.lit(0.0)).alias(f"{key}_{i}_{j}") for i, j in pairs for key, c in _ji_columns(F.col(f"c{i}"), F.col(f"c{j}"), _any_null(join)).items()])
-    keys = list(_ji_columns(F.lit(0), F.lit(0), F.lit(False)))
-    rows = [F.struct(F.lit(names[i]).alias("src"), F.lit(names[j]).alias("dst"), _ji(*[F.col(f"{k}_{i}_{j}") for k in keys]).alias("ji"), F.col(f"matched_{i}_{j}").alias("join_rows")) for i, j in pairs]
-    return sums.select(F.explode(F.array(*rows)).alias("e")).select("e.*")
+    per = union.groupBy("__j", *columns).agg(F.map_from_entries(F.collect_list(F.struct("__k", W))).alias("c"))  # an entry an instance
+    pairs = {i: [(a, b) for a in range(len(names)) for b in range(a + 1, len(names)) if set(s) <= set(instances[names[a]].columns) & set(instances[names[b]].columns)] for i, s in enumerate(sets)}
+    pairs = {i: p for i, p in pairs.items() if p}
+    listed = F.create_map(*[x for i, p in pairs.items() for x in (F.lit(i), F.array(*[F.struct(F.lit(a).alias("a"), F.lit(b).alias("b")) for a, b in p]))])
+    null_key = F.lit(False)
+    for i, s in enumerate(sets):
+        null_key = F.when(F.col("__j") == i, _any_null(s)).otherwise(null_key)
+    met = per.select("__j", null_key.alias("null_key"), "c", F.explode(listed[F.col("__j")]).alias("p")).where(F.map_contains_key("c", F.col("p.a")) | F.map_contains_key("c", F.col("p.b")))
+    a, b = (F.coalesce(F.try_element_at("c", F.col(f"p.{x}")), F.lit(0)) for x in "ab")
+    terms = _ji_columns(F.col("a"), F.col("b"), F.col("null_key"))
+    sums = met.select("__j", "p", "null_key", a.alias("a"), b.alias("b")).groupBy("__j", F.col("p.a").alias("i"), F.col("p.b").alias("k")).agg(*[F.coalesce(F.sum(c), F.lit(0.0)).alias(n) for n, c in terms.items()])
+    # pairs of which no key was seen on either side
+    every = F.array(*[F.struct(F.lit(j).alias("__j"), F.lit(x).alias("i"), F.lit(y).alias("k")) for j, p in pairs.items() for x, y in p])
+    frame = next(iter(instances.values()))
+    wanted = frame.sparkSession.range(1).select(F.explode(every).alias("e")).select("e.*")
+    sums = wanted.join(sums, ["__j", "i", "k"], "left").na.fill(0.0)
+    name_of = F.array(*map(F.lit, names))
+    set_of = F.array(*[F.array(*map(F.lit, s)) for s in sets])
+    return sums.select(F.get(name_of, F.col("i")).alias("src"), F.get(name_of, F.col("k")).alias("dst"), F.get(set_of, F.col("__j")).alias("j"), _ji(*[F.col(n) for n in terms]).alias("ji"), F.col("matched").alias("join_rows"))
 
 
 # ------------------------------------------------------------------------------------------------- entropies
@@ -276,14 +335,18 @@ def mutual_information_df(df: DataFrame, x: Sequence[str], y: Sequence[str], wei
 
 
 def entropies_df(df: DataFrame, sets: Sequence[Sequence[str]], batch: int = 32) -> DataFrame:
-    """(attributes, entropy) of many attribute sets: one scan per batch, expanded by grouping sets."""
+    """(attributes, entropy) of many attribute sets: one scan per batch, rolled up by grouping sets from the collapsed frame."""
     out = None
     for i in range(0, len(sets), batch):
         part = sets[i : i + batch]
-        keyed = [F.struct(F.lit("+".join(s)).alias("attributes"), F.to_json(F.struct(*[F.col(a).alias(f"v{k}") for k, a in enumerate(s)])).alias("key")) for s in part]
-        per = df.select(F.explode(F.array(*keyed)).alias("e")).groupBy("e.attributes", "e.key").agg(F.count("*").cast("double").alias("c"))
-        per = per.groupBy("attributes").agg(F.sum("c").alias("n"), F.sum(_xlog(F.col("c"))).alias("s"))
-        one = per.select("attributes", F.greatest(F.lit(0.0), F.log2("n") - F.col("s") / F.col("n")).alias("entropy"))
+        counts, columns = rolled_up(df, part)
+        names: dict[int, list[str]] = {}
+        for s in part:
+            names.setdefault(grouping(columns, s), []).append("+".join(s))
+        c = F.col(W).cast("double")
+        per = counts.groupBy("gid").agg(F.sum(c).alias("n"), F.sum(_xlog(c)).alias("s"))
+        named = F.create_map(*[x for gid, ns in names.items() for x in (F.lit(gid).cast("long"), F.array(*map(F.lit, ns)))])
+        one = per.select(F.explode(named[F.col("gid").cast("long")]).alias("attributes"), F.greatest(F.lit(0.0), F.log2("n") - F.col("s") / F.col("n")).alias("entropy"))
         out = one if out is None else out.unionByName(one)
     return out
 
@@ -300,16 +363,20 @@ def number(c: Column, kind: T.DataType) -> Column:
 def _cumulative(df: DataFrame, x: str, keys: Sequence[str], weight: str | None) -> DataFrame:
     """(keys, n, h): cumulative entropy of x within each key group.
 
-    h is the integral of -F log2 F over the empirical distribution function. Values are collapsed to counts, cut into
-    RANGES equal ranges, and running sums are taken within a range on top of the ranges' offsets, so neither one group nor
-    the whole column is ever sorted in one task. The result does not depend on the cut.
+    h is the integral of -F log2 F over the empirical distribution function. Values are collapsed to counts and cut at
+    RANGES approximate quantiles, each part into RANGES equal widths; running sums are taken within a range on top of the
+    ranges' offsets, so neither one group nor the whole column is ever sorted in one task, and an outlier leaves at most a
+    part in one range. The result does not depend on the cut.
     """
     frame = df.withColumn("__x", number(F.col(x), df.schema[x].dataType)).where("__x is not null and not isnan(__x)")
     values = counted(frame, [*keys, "__x"], weight)
-    bounds = values.agg(F.min("__x").alias("__lo"), F.max("__x").alias("__hi"))
-    span = F.col("__hi") - F.col("__lo")
-    part = F.when(span > 0, F.least(F.floor((F.col("__x") - F.col("__lo")) / span * RANGES), F.lit(RANGES - 1))).otherwise(F.lit(0)).cast("int")
-    values = values.crossJoin(F.broadcast(bounds)).withColumn("__r", part)  # bounds is one row
+    cuts = F.percentile_approx("__x", [k / RANGES for k in range(1, RANGES)], 1000)
+    bounds = values.agg(F.concat(F.array(F.min("__x")), cuts, F.array(F.max("__x"))).alias("__edges"))
+    # the part: how many inner edges lie below the value
+    values = values.crossJoin(F.broadcast(bounds)).withColumn("__q", F.size(F.filter(F.slice("__edges", 2, RANGES - 1), lambda e: e < F.col("__x"))))  # bounds is one row
+    lo, hi = F.get("__edges", F.col("__q")), F.get("__edges", F.col("__q") + 1)
+    inner = F.when(hi > lo, F.greatest(F.lit(0), F.least(F.floor((F.col("__x") - lo) / (hi - lo) * RANGES), F.lit(RANGES - 1)))).otherwise(F.lit(0))
+    values = values.withColumn("__r", (F.col("__q") * RANGES + inner).cast("int")).drop("__q", "__edges")
     ranges = values.groupBy(*keys, "__r").agg(F.sum(W).alias("rw"), F.min("__x").alias("first"))
     across = Window.partitionBy(*keys).orderBy("__r")
     whole = Window.partitionBy(*keys).rowsBetween(Window.unboundedPreceding, Window.unboundedFollowing)

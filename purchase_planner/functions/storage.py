@@ -8,7 +8,8 @@ import shutil
 import tempfile
 import threading
 import uuid
-from collections.abc import Callable
+from collections.abc import Callable, Iterator
+from contextlib import contextmanager
 
 from pyspark.sql import DataFrame, SparkSession
 
@@ -49,6 +50,19 @@ def settle(df: DataFrame) -> DataFrame:
     return Settled(df).df
 
 
+@contextmanager
+def dropped() -> Iterator[None]:
+    """Tables settled within are dropped at the end: for answers that are on the driver by then. Each thread has its own."""
+    if not hasattr(_open, "scopes"):
+        _open.scopes = []
+    _open.scopes.append([])
+    try:
+        yield
+    finally:
+        for table in _open.scopes.pop():
+            table.drop()
+
+
 def settle_last(make: Callable[[], DataFrame]) -> DataFrame:
     """What `make` gives, written; the tables settled on the way are dropped, since only the written one is read from now on."""
     if not hasattr(_open, "scopes"):

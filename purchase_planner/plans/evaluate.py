@@ -11,11 +11,12 @@ from collections.abc import Iterable, Mapping, Sequence
 from dataclasses import dataclass
 from functools import reduce
 
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Row
 from pyspark.sql import functions as F
 
 from ..functions.measures import FD, W, correlation_df, counted, joint_quality_df, kind_of
-from ..operators.sampling import keyed_sample, unit_hash_nullable
+from ..functions.storage import dropped, settle
+from ..operators.sampling import keyed_sample, thinned
 from ..sources.marketplace import Marketplace
 from .joingraph import Join, JoinGraph, Pair, pair
 
@@ -94,8 +95,9 @@ def plan_fds(market: Marketplace, plan: TargetGraph) -> list[FD]:
 def plan_to_df(market: Marketplace, plan: TargetGraph, needed: Sequence[str], rate: float = 1.0, eta: float | None = None, resample: float = 0.5, hash_name: str = "xxhash64", seed: int = 0) -> DataFrame:
     """The join of a plan's projections, collapsed to the needed columns with counts in W.
 
-    rate < 1 samples each instance on its own edges' join attributes; eta re-samples an intermediate result whose
-    forecast size exceeds it.
+    rate < 1 samples each instance on its own edges' join attributes. An intermediate join of more than eta rows, by a
+    forecast from the key counts of its sides, is re-sampled: every one of its rows is kept or not on its own, which on the
+    collapsed frame thins the counts.
     """
     projections, joins = plan.projections, plan.joins
     root = plan.supply[0][1]
@@ -108,9 +110,13 @@ def plan_to_df(market: Marketplace, plan: TargetGraph, needed: Sequence[str], ra
                 df = keyed_sample(df, j, rate, hash_name, seed)
         own = counted(df, sorted(projections[name]))
         own = own.select(*[F.col(a).alias(f"{name}__{a}") for a in sorted(projections[name])], F.col(W).alias("__v"))
+        too_large = False
         if out is None:
             out = own.withColumnRenamed("__v", W)
         else:
+            if eta is not None and k < len(order) - 1:
+                out, own = settle(out), settle(own)  # read twice, by the forecast and by the join
+                too_large = forecast(out, own, [(f"{parent}__{a}", f"{name}__{a}") for a in joins[pair(name, parent)]]) > eta
             on = [F.col(f"{parent}__{a}") == F.col(f"{name}__{a}") for a in joins[pair(name, parent)]]
             out = out.join(own, reduce(lambda x, y: x & y, on)).withColumn(W, F.col(W) * F.col("__v")).drop("__v")
         # columns that later joins or the measures still need
@@ -118,22 +124,42 @@ def plan_to_df(market: Marketplace, plan: TargetGraph, needed: Sequence[str], ra
         alive = {f"{u}__{a}" for v, u in order[k + 1 :] if u not in later for a in joins[pair(v, u)]} | set(needed)
         keep = [c for c in out.columns if c in alive]
         out = out.groupBy(*keep).agg(F.sum(W).alias(W)) if k else out.select(*keep, W).groupBy(*keep).agg(F.sum(W).alias(W))
-        if eta is not None and 0 < k < len(order) - 1 and (out.agg(F.sum(W)).first()[0] or 0) > eta:
-            out = out.where(unit_hash_nullable(keep, hash_name, seed + k) < resample)
+        if too_large:
+            out = out.withColumn(W, thinned(F.col(W), resample, keep, hash_name, seed + k)).where(F.col(W) > 0)
     return out
 
 
-def score_df(market: Marketplace, plan: TargetGraph, a_s: Sequence[str], a_t: Sequence[str], kinds: dict[str, str] | None = None, fds: Sequence[FD] | None = None, **sampling) -> DataFrame:
-    """corr, quality and join_rows of a plan, one row."""
-    xs, ys = [plan.column(a) for a in a_s], [plan.column(a) for a in a_t]
-    fds = plan_fds(market, plan) if fds is None else fds
-    needed = list(dict.fromkeys([*xs, *ys, *(a for fd in fds for a in fd.attributes)]))
-    frame = plan_to_df(market, plan, needed, **sampling)
+def forecast(left: DataFrame, right: DataFrame, on: Sequence[tuple[str, str]]) -> float:
+    """Rows of the join of two collapsed frames, weighted by W and __v, from their key counts."""
+    a = left.groupBy(*[F.col(x).alias(f"__k{i}") for i, (x, _) in enumerate(on)]).agg(F.sum(W).alias("__a"))
+    b = right.groupBy(*[F.col(y).alias(f"__k{i}") for i, (_, y) in enumerate(on)]).agg(F.sum("__v").alias("__b"))
+    return a.join(b, [f"__k{i}" for i in range(len(on))]).agg(F.sum(F.col("__a").cast("double") * F.col("__b"))).first()[0] or 0.0
+
+
+def _measures(frame: DataFrame, xs: Sequence[str], ys: Sequence[str], fds: Sequence[FD], kinds: dict[str, str] | None) -> DataFrame:
     corr = correlation_df(frame, xs, ys, kinds, W)
     quality = joint_quality_df(frame, fds, W)
     return corr.crossJoin(quality).crossJoin(frame.agg(F.coalesce(F.sum(W), F.lit(0)).cast("long").alias("join_rows")))  # one row each
 
 
+def _parts(market: Marketplace, plan: TargetGraph, a_s: Sequence[str], a_t: Sequence[str], fds: Sequence[FD] | None) -> tuple[list[str], list[str], Sequence[FD], list[str]]:
+    xs, ys = [plan.column(a) for a in a_s], [plan.column(a) for a in a_t]
+    fds = plan_fds(market, plan) if fds is None else fds
+    return xs, ys, fds, list(dict.fromkeys([*xs, *ys, *(a for fd in fds for a in fd.attributes)]))
+
+
+def score_df(market: Marketplace, plan: TargetGraph, a_s: Sequence[str], a_t: Sequence[str], kinds: dict[str, str] | None = None, fds: Sequence[FD] | None = None, **sampling) -> DataFrame:
+    """corr, quality and join_rows of a plan, one row. The collapsed join is written once and read by all measures."""
+    xs, ys, fds, needed = _parts(market, plan, a_s, a_t, fds)
+    return _measures(settle(plan_to_df(market, plan, needed, **sampling)), xs, ys, fds, kinds)
+
+
+def score_row(market: Marketplace, plan: TargetGraph, a_s: Sequence[str], a_t: Sequence[str], kinds: dict[str, str] | None = None, fds: Sequence[FD] | None = None, **sampling) -> Row:
+    """The row of score_df; its tables are dropped."""
+    with dropped():
+        return score_df(market, plan, a_s, a_t, kinds, fds, **sampling).first()
+
+
 def plan_kinds(market: Marketplace, plan: TargetGraph, a_s: Sequence[str], kinds: dict[str, str] | None = None) -> dict[str, str]:
     return {a: kind_of(market[dict(plan.supply)[a]].df, a, kinds) for a in a_s}
 

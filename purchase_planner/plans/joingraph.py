@@ -1,7 +1,7 @@
 """The two-layer join graph: instances and their attribute sets, weighted by join informativeness, priced by entropy.
 
 The off-line phase. Schemas give the upper layer; each distinct set of join attributes is weighed once for all pairs of
-instances that share it, by one combinable pass over a tagged union. Vertices of the lower layer are never materialised
+instances that share it, by one combinable pass over a tagged union of key counts; every instance is read once. Vertices of the lower layer are never materialised
 beyond the sets that requests ask prices for: equal join attributes have equal weights, so edges need only their join set.
 """
 
@@ -11,11 +11,11 @@ from collections.abc import Iterable, Sequence
 from dataclasses import dataclass, field
 from itertools import combinations
 
-from pyspark.sql import DataFrame, SparkSession, Window
+from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from ..functions.measures import entropies_df, informativeness_matrix
-from ..operators.sampling import keyed_sample
+from ..functions.measures import entropies_df, informativeness_of_sets
+from ..operators.sampling import thinned, unit_hash
 from ..sources.marketplace import Marketplace
 from .lattice import lattice, size
 
@@ -86,6 +86,12 @@ class JoinGraph:
             for r in entropies_df(self.market[name].df, [sorted(s) for s in sets]).collect():  # one row an attribute set
                 self.prices[name, names[r["attributes"]]] = r["entropy"]
 
+    def restricted(self, names: Sequence[str]) -> JoinGraph:
+        """The graph over some of the instances; what is known of them is kept."""
+        inside = set(names)
+        weights = {k: w for k, w in self.weights.items() if set(k[0]) <= inside}
+        return JoinGraph(self.market.restricted(sorted(inside)), weights, {k: self.join_rows[k] for k in weights if k in self.join_rows}, self.prices, self.rate)
+
     def stats(self) -> dict[str, int]:
         return {"instances": len(self.market.names), "as_vertices": sum(size(len(self.market[n].attributes)) for n in self.market.names), "i_edges": len(self.edges()), "weights": len(self.weights)}
 
@@ -100,16 +106,23 @@ def requested_sets(market: Marketplace) -> dict[Join, list[str]]:
 
 
 def edge_weights(market: Marketplace, rate: float = 1.0, hash_name: str = "xxhash64", seed: int = 0) -> DataFrame:
-    """(src, dst, j, weight, join_rows) of all pairs and join sets, on samples keyed by each join set when rate < 1."""
-    out = None
-    for j, holders in sorted(requested_sets(market).items()):
-        frames = {n: keyed_sample(market[n].df, j, rate, hash_name, seed) for n in holders}
-        one = informativeness_matrix(frames, j).select("src", "dst", F.array(*map(F.lit, j)).alias("j"), F.col("ji").alias("weight"), "join_rows")
-        out = one if out is None else out.unionByName(one)
-    if out is None:
+    """(src, dst, j, weight, join_rows) of all pairs and join sets, on samples keyed by each join set when rate < 1.
+
+    Whether a sample holds a row depends on its join value alone, so samples are drawn from the key counts; of rows without
+    a join value a share is kept.
+    """
+    requested = requested_sets(market)
+    if not requested:
         spark = next(iter(market.instances.values())).df.sparkSession
         return spark.createDataFrame([], "src string, dst string, j array<string>, weight double, join_rows double")
-    return out
+    shared = {a for j in requested for a in j}
+    frames = {n: market[n].df.select(*[a for a in market[n].attributes if a in shared]) for n in market.names if shared & set(market[n].attributes)}
+
+    def kept(j: Sequence[str], count: Column) -> Column:
+        return F.when(unit_hash(j, hash_name, seed) < rate, count).when(unit_hash(j, hash_name, seed).isNull(), thinned(count, rate, j, hash_name, seed)).otherwise(F.lit(0).cast("long"))
+
+    found = informativeness_of_sets(frames, sorted(requested), None if rate >= 1 else kept)
+    return found.select("src", "dst", "j", F.col("ji").alias("weight"), "join_rows")
 
 
 def build(market: Marketplace, rate: float = 1.0, hash_name: str = "xxhash64", seed: int = 0) -> JoinGraph:

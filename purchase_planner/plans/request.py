@@ -10,10 +10,10 @@ from concurrent.futures import ThreadPoolExecutor
 from dataclasses import dataclass, field, replace
 from itertools import product
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Row, SparkSession
 
 from ..sources.marketplace import Marketplace
-from .evaluate import TargetGraph, forecast_rows, plan_price, plan_weight, score_df
+from .evaluate import TargetGraph, forecast_rows, plan_price, plan_weight, score_row
 from .joingraph import JoinGraph, Pair, build, join_sets
 from .lattice import assignments
 from .steiner import landmark_sketch, minimal_igraphs, pick_landmarks, trees
@@ -85,9 +85,9 @@ class Evaluator:
         price, weight = self.static(plan)
         return price <= self.request.budget + EPS and weight <= self.request.alpha + EPS and forecast_rows(self.graph, plan) <= self.request.max_rows
 
-    def frame(self, plan: TargetGraph) -> DataFrame:
+    def row(self, plan: TargetGraph) -> Row:
         x, y = self.request.sides
-        return score_df(self.market or self.graph.market, plan, x, y, dict(self.request.kinds), rate=self.rate, eta=self.eta, resample=self.resample, hash_name=self.hash_name, seed=self.seed)
+        return score_row(self.market or self.graph.market, plan, x, y, dict(self.request.kinds), rate=self.rate, eta=self.eta, resample=self.resample, hash_name=self.hash_name, seed=self.seed)
 
     def score(self, plan: TargetGraph) -> Score:
         return self.scores([plan])[0]
@@ -98,7 +98,7 @@ class Evaluator:
         if todo:
             self.graph.add_prices([(n, a) for p in todo for n, a in p.projections.items() if not self.graph.market[n].owned])
             with ThreadPoolExecutor(min(4, len(todo))) as pool:
-                rows = list(pool.map(lambda p: self.frame(p).first(), todo))
+                rows = list(pool.map(self.row, todo))
             for plan, r in zip(todo, rows, strict=True):
                 price, weight = self.static(plan)
                 corr, quality = (float(r[c]) if r[c] is not None else 0.0 for c in ("corr", "quality"))
