@@ -103,18 +103,45 @@ def resample_sweep(graph: JoinGraph, request: Request, plan: TargetGraph, rates:
     return out
 
 
-def size_sweep(market: Marketplace, request: Request, keep: Sequence[str], numbers: Sequence[int], iterations: int = 40, seed: int = 0, exact: bool = False, max_vertices: int = 3, max_rows: float = 5e7) -> list[dict]:
-    """Time and plan size over growing subsets of the instances that always hold `keep`."""
-    others = [n for n in market.names if n not in keep]
+def size_sweep(graph: JoinGraph, request: Request, keep: Sequence[str], numbers: Sequence[int], iterations: int = 40, seed: int = 0, exact: bool = False, max_vertices: int = 3, max_rows: float = 5e7) -> list[dict]:
+    """Time and plan size over growing subsets of the instances that always hold `keep`; exact adds the exhaustive search."""
+    others = [n for n in graph.market.names if n not in keep]
     out = []
     for n in numbers:
-        part = market.restricted(sorted([*keep, *others[: max(n - len(keep), 0)]]))
-        graph = build(part)
+        part = graph.restricted([*keep, *others[: max(n - len(keep), 0)]])
         bounded = replace(request, max_rows=max_rows)
-        plan = acquire(graph, bounded, iterations, seed)
+        plan = acquire(part, bounded, iterations, seed)
         row = {"n": n, "status": plan.status, "size": plan.igraph_size, "seconds": plan.seconds, "evaluated": plan.evaluated}
         if exact:
-            best = exhaustive(graph, bounded, max_vertices)
+            best = exhaustive(part, bounded, max_vertices)
             row |= {"seconds_exact": best.seconds, "evaluated_exact": best.evaluated}
         out.append(row)
     return out
+
+
+def planner_budget_sweep(graph: JoinGraph, request: Request, ratios: Sequence[float], top: float, iterations: int = 10, seed: int = 0) -> list[dict]:
+    """The planner's status, plan size and time at each share of a top price; a request that cannot be paid is N/A."""
+    out = []
+    for r in ratios:
+        plan = acquire(graph, replace(request, budget=r * top), iterations, seed)
+        out.append({"ratio": r, "status": plan.status, "size": plan.igraph_size, "corr": plan.score.corr if plan.score else None, "seconds": plan.seconds if plan.score else None})
+    return out
+
+
+def algorithms_by_budget(full: JoinGraph, request: Request, ratios: Sequence[float], max_vertices: int, rate: float = 0.5, iterations: int = 30, seed: int = 0) -> list[dict]:
+    """Real correlation of planner, exhaustive search on samples and on full data, at shares of the dearest plan's price."""
+    _, high = budget_range(full, request, max_vertices)
+    truth = Evaluator(full, request)
+    sampled = build(full.market, rate)
+    sampled.prices = full.prices
+    trials = {"heuristic": Evaluator(sampled, request, rate=rate), "exhaustive_sample": Evaluator(sampled, request, rate=rate), "exhaustive_full": truth}
+    trials["exhaustive_sample"].memo = trials["heuristic"].memo  # one sample, one set of scores
+    out = []
+    for r in ratios:
+        now = replace(request, budget=r * high)
+        for name, evaluator in trials.items():
+            evaluator.request = now
+            plan = acquire(sampled, now, iterations, seed, evaluator=evaluator) if name == "heuristic" else exhaustive(evaluator.graph, now, max_vertices, evaluator)
+            real = truth.score(plan.graph) if plan.graph else None
+            out.append({"ratio": r, "approach": name, "status": plan.status, "corr": real.corr if real else None, "price": real.price if real else None})
+    return out

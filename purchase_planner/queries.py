@@ -559,15 +559,6 @@ def acquire_statuses(spark: SparkSession, d: str) -> DataFrame:
     return spark.createDataFrame([(k, Q.acquire(graph, r, 30, 1).status) for k, r in cases.items()], "request string, status string")
 
 
-@query(None)
-def acquire_m29_x4(spark: SparkSession, d: str) -> DataFrame:
-    """A request over vertical fragments: order price against market segment."""
-    m = fragment_marketplace(spark, d).restricted(["cust_bal", "cust_core", "ord_core", "ord_price", "ord_prio", "nation", "region"])
-    graph = G.build(m)
-    plan = Q.acquire(graph, Q.Request(("o_totalprice",), ("c_mktsegment",)), iterations=20, seed=2)
-    return spark.createDataFrame([(plan.status, plan.graph.label(), plan.igraph_size, plan.score.corr, plan.score.join_rows)], "status string, plan string, igraph_size int, corr double, join_rows long")
-
-
 def _m29_plan(edges: dict, supply: dict):
     return TargetGraph.of({G.pair(*e): j for e, j in edges.items()}, supply)
 
@@ -668,7 +659,7 @@ def _bounded_frames(t: dict[str, DataFrame]) -> list[tuple[DataFrame, list[str]]
 
 _BOUNDED = [
     "oc AS (SELECT custkey, nationkey, o_totalprice, orderkey FROM (SELECT orderkey, custkey, o_totalprice FROM i_orders) JOIN (SELECT custkey, nationkey FROM i_customer) USING (custkey))",
-    f"kept AS (SELECT * FROM oc WHERE {_u32('''custkey::VARCHAR || '|' || nationkey::VARCHAR || '|' || orderkey::VARCHAR || '|' || '2' ''')} / 4294967296.0 < 0.5)",
+    f"kept AS (SELECT * FROM (SELECT *, unnest(range(1, n + 1)) i FROM (SELECT custkey, nationkey, orderkey, count(*) n FROM oc GROUP BY ALL)) WHERE {_u32('''custkey::VARCHAR || '|' || nationkey::VARCHAR || '|' || orderkey::VARCHAR || '|2|' || i::VARCHAR''')} / 4294967296.0 < 0.5)",
 ]
 
 
@@ -712,12 +703,21 @@ def estimate_bias(spark: SparkSession, d: str) -> DataFrame:
     return S.bias_report(t["customer"], t["orders"], ["xj_g"], 0.5, range(8))
 
 
-@query(None)
-def resample_sweep_x2(spark: SparkSession, d: str) -> DataFrame:
-    """Correlation with and without re-sampling; the gap closes as the rate grows."""
-    evaluator, plans = _workload_plans(spark, d, "x2")
-    rows = report.resample_sweep(evaluator.graph, X2[0], plans[0], (0.1, 0.5, 0.9, 1.0), 0.0001)
-    return spark.createDataFrame([(float(r["resample"]), r["corr"], r["corr_plain"], r["gap"]) for r in rows], "resample double, corr double, corr_plain double, gap double")
+def _thinned_sql(text: str, rate: float, seed: int, exact: int) -> str:
+    """The kept count of n equal rows: row by row up to `exact`, by the normal approximation beyond."""
+    unit = lambda i: f"({_u32(f"{text} || '|{seed}|' || ({i})::VARCHAR")} / 4294967296.0)"
+    normal = f"sqrt(-2 * ln(greatest({unit('-1')}, 1e-12))) * cos(2 * pi() * {unit('-2')})"
+    each = f"(SELECT count(*) FROM (SELECT unnest(range(1, least(n, {exact}) + 1)) i) WHERE {unit('i')} < {rate})"
+    return f"CASE WHEN n <= {exact} THEN {each} ELSE greatest(0, least(n, round(n * {rate}::DOUBLE + sqrt(n * {rate}::DOUBLE * {1 - rate}::DOUBLE) * {normal})))::BIGINT END"
+
+
+@query(star_sql(f"SELECT o_orderstatus, nationkey, n, ({_thinned_sql("o_orderstatus || '|' || nationkey::VARCHAR", 0.5, 3, S.EXACT)})::BIGINT kept FROM (SELECT o_orderstatus, nationkey, count(*) n FROM (SELECT custkey, o_orderstatus FROM i_orders) JOIN (SELECT custkey, nationkey FROM i_customer) USING (custkey) GROUP BY ALL)"))
+def resampled_counts(spark: SparkSession, d: str) -> DataFrame:
+    """How many rows of each group of a collapsed intermediate join a re-sample at one half keeps."""
+    t = star_tables(spark, d)
+    joined = t["orders"].select("custkey", "o_orderstatus").join(t["customer"].select("custkey", "nationkey"), "custkey")
+    frame = M.counted(joined, ["o_orderstatus", "nationkey"]).withColumnRenamed(M.W, "n")
+    return frame.withColumn("kept", S.thinned(F.col("n"), 0.5, ["o_orderstatus", "nationkey"], "md5", 3))
 
 
 # -------------------------------------------------------------------------------------------- worked examples
