@@ -45,9 +45,9 @@ from .components import components
 
 U = np.uint64
 #: Members of a task's block; pivots of a chunk; pivots of a region and level; documents up to which pairs are compared directly.
-MEMBERS, CHUNK, MOST, LEAF = 256, 128, 1024, 12
+MEMBERS, CHUNK, MOST, LEAF = 128, 128, 1024, 12
 #: Documents and bytes of shingles up to which a region recurs in one task; farthest distance from its pivot within a cell.
-LOCAL, LOCAL_BYTES, RADIUS = 1024, 32 << 20, 0.5
+LOCAL, LOCAL_BYTES, RADIUS = 1024, 8 << 20, 0.5
 EPS = 1e-9
 GROUP = ["region", "salt", "chunk"]
 #: A table of at most so many ids is broadcast (16 bytes a row and the hash table); a larger one is joined by shuffle.
