@@ -165,10 +165,16 @@ def refine_many(evaluator: Evaluator, start: TargetGraph, iterations: int, seeds
 
 
 def supplies(market: Marketplace, request: Request) -> list[dict[str, str]]:
-    """All ways to take the requested attributes from instances; owned ones are preferred as sources."""
-    holders = {n: market[n].attributes for n in market.names}
+    """All ways to take the requested attributes from instances. What the shopper has is taken from owned instances where any holds it."""
     x, y = request.sides
-    return list(assignments(list(dict.fromkeys([*x, *y])), holders))
+    wanted = list(dict.fromkeys([*x, *y]))
+    holders = {n: list(market[n].attributes) for n in market.names}
+    for a in request.a_s:
+        if any(market[n].owned and a in market[n].attributes for n in market.names):
+            for n in market.names:
+                if not market[n].owned and a in holders[n]:
+                    holders[n].remove(a)
+    return list(assignments(wanted, holders))
 
 
 def igraph_candidates(graph: JoinGraph, request: Request, sketch, keep: str = "one") -> list[tuple[float, frozenset[Pair], dict[str, str]]]:

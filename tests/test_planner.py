@@ -102,3 +102,63 @@ def test_small_measures():
     p = TargetGraph.of({("a", "b"): ["x"]}, {"y": "a"})
     assert report.plan_overlap(p, p) == 1.0 and not math.isnan(report.plan_overlap(p, p))
     assert Marketplace({}).names == []
+
+
+def test_what_the_shopper_owns_supplies_what_they_have(graph):
+    both = Marketplace({**graph.market.instances, "other": replace(graph.market["customer"], name="other", owned=True)})
+    request = Q.Request(("c_acctbal",), ("o_orderpriority",))
+    assert {s["c_acctbal"] for s in Q.supplies(graph.market, request)} == {"customer"}
+    assert {s["c_acctbal"] for s in Q.supplies(both, request)} == {"other"}
+
+
+def test_equal_rows_are_thinned_one_by_one(spark):
+    """Over 60 seeds the kept share of each group is near the rate, with a spread like that of independent rows, at small counts and large ones."""
+    from pyspark.sql import functions as F
+
+    frame = spark.createDataFrame([("a", 1), ("b", 40), ("c", 200), ("d", 5000), ("e", 2_000_000)], "g string, n long")
+    kept = [S.thinned(F.col("n"), 0.3, ["g"], seed=s).alias(f"s{s}") for s in range(60)]
+    rows = {r["g"]: r for r in frame.select("g", "n", *kept).collect()}
+    for g, r in rows.items():
+        got, n = [r[f"s{s}"] for s in range(60)], r["n"]
+        spread = math.sqrt(n * 0.3 * 0.7)
+        assert all(0 <= x <= n for x in got)
+        assert abs(sum(got) / 60 - 0.3 * n) < 4 * spread / math.sqrt(60), g
+        if n > 1:
+            assert 0.6 < math.sqrt(sum((x - 0.3 * n) ** 2 for x in got) / 60) / spread < 1.5, g
+
+
+def test_estimates_on_thinned_counts_are_unbiased(spark):
+    """Correlation and quality of one joined frame, over 50 seeds, against the truth."""
+    from pyspark.sql import functions as F
+
+    from purchase_planner.functions import measures as M
+
+    rows = [(f"x{i % 3}", f"y{(i % 3 if i % 5 else i % 2)}", 40 + i) for i in range(30)]
+    frame = spark.createDataFrame(rows, "x string, y string, w long").groupBy("x", "y").agg(F.sum("w").alias(M.W))
+    fd = M.FD(("x",), "y")
+    truth, quality = M.correlation(frame, ["x"], ["y"], weight=M.W), M.fd_quality(frame, fd, M.W)
+    per = frame.crossJoin(spark.range(50).toDF("seed"))  # 50 seeds
+    kept = per.select("seed", "x", "y", S.thinned(F.col(M.W), 0.5, ["x", "y", "seed"]).alias("c")).toPandas()
+    corrs, shares = [], []
+    for _, g in kept.groupby("seed"):
+        n = g["c"].sum()
+        h = lambda k, g=g, n=n: -sum(c / n * math.log2(c / n) for c in g.groupby(k)["c"].sum() if c)
+        corrs.append(h("x") + h("y") - h(["x", "y"]))
+        shares.append(g.groupby("x")["c"].max().sum() / n)
+    assert abs(sum(corrs) / 50 - truth) < 0.02 and abs(sum(shares) / 50 - quality) < 0.01
+
+
+def test_resampled_plans_keep_about_the_share(graph):
+    plan = TargetGraph.of({("customer", "orders"): ["custkey"], ("customer", "nation"): ["nationkey"]}, {"o_orderstatus": "orders", "n_name": "nation"})
+    request = Q.Request(("o_orderstatus",), ("n_name",))
+    whole = Q.Evaluator(graph, request).score(plan).join_rows
+    got = [Q.Evaluator(graph, request, eta=10, resample=0.5, seed=s).score(plan).join_rows for s in range(3)]
+    assert all(abs(x / whole - 0.5) < 0.06 for x in got) and Q.Evaluator(graph, request, eta=10 * whole).score(plan).join_rows == whole
+
+
+def test_weights_of_samples_and_restricted_graphs(graph):
+    sampled = G.build(graph.market, 0.5)
+    assert sampled.weights.keys() == graph.weights.keys()
+    for (a, b), j in graph.weights:
+        assert sampled.weights[(a, b), j] == pytest.approx(S.informativeness_est(graph.market[a].df, graph.market[b].df, list(j), 0.5).first()["ji"], abs=1e-9)
+    assert set(graph.restricted(["customer", "orders"]).weights) == {k for k in graph.weights if "nation" not in k[0]}
