@@ -16,7 +16,7 @@ from ..sources.marketplace import Marketplace
 from .evaluate import TargetGraph, forecast_rows, plan_price, plan_weight, score_row
 from .joingraph import JoinGraph, Pair, build, join_sets
 from .lattice import assignments
-from .steiner import landmark_sketch, minimal_igraphs, pick_landmarks, trees
+from .steiner import Sketch, landmark_sketch, minimal_igraphs, pick_landmarks, trees
 
 EPS = 1e-9
 
@@ -177,7 +177,10 @@ def supplies(market: Marketplace, request: Request) -> list[dict[str, str]]:
     return list(assignments(wanted, holders))
 
 
-def igraph_candidates(graph: JoinGraph, request: Request, sketch, keep: str = "one") -> list[tuple[float, frozenset[Pair], dict[str, str]]]:
+Candidate = tuple[float, frozenset[Pair], dict[str, str]]
+
+
+def igraph_candidates(graph: JoinGraph, request: Request, sketch: Sketch, keep: str = "one") -> list[Candidate]:
     """Light trees for every way to supply the attributes, the lightest first."""
     weight = {e: w for e, (w, _) in graph.edges().items()}
     out = []
@@ -188,21 +191,51 @@ def igraph_candidates(graph: JoinGraph, request: Request, sketch, keep: str = "o
     return [(c[0], c[3], c[4]) for c in out]
 
 
-def acquire(graph: JoinGraph, request: Request, iterations: int = 60, seed: int = 0, landmarks: int | None = None, keep: str = "one", evaluator: Evaluator | None = None, starts: int = 1) -> Plan:
-    """The planner: light trees by landmarks, then the walk on the lightest of them (the first `starts`)."""
+def spare_candidates(graph: JoinGraph, request: Request, landmarks: Sequence[str]) -> list[Candidate]:
+    """Trees to fall back on where no lightest one can be paid or is good enough: of all landmarks, the lightest first, then
+    those of fewest instances, with the terminals as landmarks too."""
+    ends = {n for supply in supplies(graph.market, request) for n in supply.values()}
+    wider = sorted({*landmarks, *ends})
+    lighter = igraph_candidates(graph, request, landmark_sketch(graph, wider), "all")
+    shorter = igraph_candidates(graph, request, landmark_sketch(graph, wider, hops=True), "all")
+    return lighter + sorted(shorter, key=lambda c: len(c[1]))
+
+
+def acquire(graph: JoinGraph, request: Request, iterations: int = 60, seed: int = 0, landmarks: int | None = None, keep: str = "one", evaluator: Evaluator | None = None, starts: int = 1, spare: bool = True) -> Plan:
+    """The planner: light trees by landmarks, then the walk on the lightest of them (the first `starts`).
+
+    A lightest tree may have many instances and cost more than the budget. Where the walks found nothing and `spare` is set,
+    the remaining trees are walked one by one, until one has an answer.
+    """
     began = time.perf_counter()
     evaluator = evaluator or Evaluator(graph, request)
-    sketch = landmark_sketch(graph, pick_landmarks(graph.market.names, seed, landmarks))
-    candidates = igraph_candidates(graph, request, sketch, keep)
+    chosen = pick_landmarks(graph.market.names, seed, landmarks)
+    candidates = igraph_candidates(graph, request, landmark_sketch(graph, chosen), keep)
+    if not candidates and spare:
+        candidates, starts = spare_candidates(graph, request, chosen), 0
     if not candidates:
         return Plan("no_igraph", seconds=time.perf_counter() - began)
+    walked: set[tuple] = set()
     found, any_affordable = [], False
-    for _, tree, supply in candidates[:starts]:
+
+    def walk(tree: frozenset[Pair], supply: dict[str, str]) -> None:
+        nonlocal any_affordable
+        if (tree, tuple(supply.items())) in walked:
+            return
+        walked.add((tree, tuple(supply.items())))
         start = initial(graph, tree, supply)
         best = refine(evaluator, start, iterations, seed)
         any_affordable = any_affordable or evaluator.affordable(start) or any(evaluator.affordable(p) for p in evaluator.memo)
         if best is not None:
             found.append(best)
+
+    for _, tree, supply in candidates[:starts]:
+        walk(tree, supply)
+    if spare and not found:
+        for _, tree, supply in [*candidates[starts:], *spare_candidates(graph, request, chosen)]:
+            walk(tree, supply)
+            if found:
+                break
     seconds = time.perf_counter() - began
     if not found:
         return Plan("low_quality" if any_affordable else "unaffordable", seconds=seconds, evaluated=len(evaluator.memo))

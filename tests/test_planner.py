@@ -8,7 +8,7 @@ from purchase_planner.plans import joingraph as G
 from purchase_planner.plans import report, steiner
 from purchase_planner.plans import request as Q
 from purchase_planner.plans.evaluate import TargetGraph, plan_to_df, plan_weight
-from purchase_planner.sources.marketplace import Marketplace, star_marketplace
+from purchase_planner.sources.marketplace import Instance, Marketplace, star_marketplace
 from tests.conftest import SMALL
 
 
@@ -162,3 +162,20 @@ def test_weights_of_samples_and_restricted_graphs(graph):
     for (a, b), j in graph.weights:
         assert sampled.weights[(a, b), j] == pytest.approx(S.informativeness_est(graph.market[a].df, graph.market[b].df, list(j), 0.5).first()["ji"], abs=1e-9)
     assert set(graph.restricted(["customer", "orders"]).weights) == {k for k in graph.weights if "nation" not in k[0]}
+
+
+def test_a_lightest_tree_beyond_the_budget_gives_way_to_another(graph):
+    """A third table is made the lightest way from customer to orders; at the direct plan's price only the direct edge is left."""
+    orders = graph.market["orders"]
+    key = graph.market.common("customer", "orders")[0]
+    market = Marketplace({"customer": graph.market["customer"], "orders": orders, "ledger": Instance("ledger", orders.df.select(key, "orderkey"))})
+    pairs = [("customer", "ledger"), ("customer", "orders"), ("ledger", "orders")]
+    bent = G.JoinGraph(market, {(p, j): 0.5 if p == ("customer", "orders") else 0.01 for p in pairs for j in G.join_sets(market.common(*p))}, {}, dict(graph.prices))
+    sketch = Q.landmark_sketch(bent, bent.market.names)
+    assert Q.igraph_candidates(bent, REQUEST, sketch)[0][1] != TREE
+    _, dear = report.budget_range(bent, REQUEST, 2)
+    request = replace(REQUEST, budget=dear)
+    assert Q.acquire(bent, request, 5, spare=False).status == "unaffordable"
+    plan = Q.acquire(bent, request, 5)
+    assert plan.status == "found" and plan.graph.instances == ["customer", "orders"] and plan.score.price <= dear + 1e-9
+    assert Q.acquire(bent, replace(REQUEST, budget=1.0), 5).status == "unaffordable"
