@@ -167,6 +167,41 @@ def _q_regions(spark, d):
     return j.groupBy("r_name").agg(F.count("*").alias("customers"), _r(F.sum("c_acctbal"), 2).alias("balance"))
 
 
+def _lateral(spark, d):
+    own = t(spark, d, "customer").where(F.col("c_nationkey") == F.col("n_nationkey").outer())
+    return t(spark, d, "nation").lateralJoin(own.select(F.count("*").alias("customers"), F.max("c_acctbal").alias("richest"))).select("n_name", "customers", "richest")
+
+
+def _ranks(spark, d):
+    w = Window.partitionBy("p_brand").orderBy("p_retailprice")
+    return t(spark, d, "part").select("p_partkey", _r(F.percent_rank().over(w)).alias("pr"), _r(F.cume_dist().over(w)).alias("cd"))
+
+
+def _sketches(spark, d):
+    """Whether each sketch is within five percent of the exact value, on one read."""
+    exact, median = F.countDistinct("o_custkey"), F.percentile("o_totalprice", F.lit(0.5))
+    got = {
+        "approx_count_distinct": (F.approx_count_distinct("o_custkey", 0.01), exact),
+        "hll": (F.hll_sketch_estimate(F.hll_sketch_agg("o_custkey", 14)), exact),
+        "kll_median": (F.kll_sketch_get_quantile_double(F.kll_sketch_agg_double("o_totalprice", 400), F.lit(0.5)), median),
+        "approx_percentile": (F.approx_percentile("o_totalprice", 0.5, 10000), median),
+    }
+    one = t(spark, d, "orders").agg(*[(F.abs(a - b) <= 0.05 * b).alias(k) for k, (a, b) in got.items()])
+    return one.select(F.explode(F.create_map(*[x for k in got for x in (F.lit(k), F.col(k))])).alias("sketch", "close"))
+
+
+def _samples(spark, d):
+    """Whether seeded samples keep their shares of the rows, within five points."""
+    t(spark, d, "lineitem").createOrReplaceTempView("planner_lineitem")
+    drawn = spark.sql("SELECT l_returnflag, 'tablesample' AS method, 0.3D AS share FROM planner_lineitem TABLESAMPLE (30 PERCENT) REPEATABLE (7)")
+    by = {"A": 0.2, "N": 0.5, "R": 0.8}
+    share = F.create_map(*[x for k, v in by.items() for x in (F.lit(k), F.lit(v))])[F.col("l_returnflag")]
+    drawn = drawn.unionByName(t(spark, d, "lineitem").sampleBy("l_returnflag", by, seed=7).select("l_returnflag", F.lit("sample_by").alias("method"), share.alias("share")))
+    kept = drawn.groupBy("method", "l_returnflag").agg(F.count("*").alias("kept"), F.max("share").alias("share"))
+    whole = t(spark, d, "lineitem").groupBy("l_returnflag").agg(F.count("*").alias("n"))
+    return kept.join(whole, "l_returnflag").select("method", "l_returnflag", (F.abs(F.col("kept") / F.col("n") - F.col("share")) < 0.05).alias("close"))
+
+
 def lattice_udtf(spark: SparkSession) -> None:
     """Registers lattice_subsets(attributes): one row for each attribute subset of two or more."""
     from ..plans.lattice import lattice
@@ -208,6 +243,10 @@ QUERIES = {
     "rel_set_projection": (_set_projection, "SELECT DISTINCT c_nationkey::BIGINT nationkey, c_mktsegment FROM customer"),
     "rel_url_parts": (_urls, "SELECT regexp_extract(lower(regexp_extract(url, '://([^/?#]+)', 1)), '([^.]+)$', 1) tld, count(*) n FROM pages GROUP BY ALL"),
     "rel_scalar_subquery": (_subquery, "WITH m AS (SELECT avg(o_totalprice) a FROM orders) SELECT o_orderstatus, count(*) n FROM orders WHERE o_totalprice > (SELECT a FROM m) GROUP BY ALL"),
+    "rel_lateral_join": (_lateral, "SELECT n_name, customers, richest FROM nation, LATERAL (SELECT count(*) customers, max(c_acctbal) richest FROM customer WHERE c_nationkey = n_nationkey)"),
+    "rel_percent_ranks": (_ranks, "SELECT p_partkey, round(percent_rank() OVER w, 6) pr, round(cume_dist() OVER w, 6) cd FROM part WINDOW w AS (PARTITION BY p_brand ORDER BY p_retailprice)"),
+    "rel_sketches": (_sketches, "SELECT unnest(['approx_count_distinct', 'hll', 'kll_median', 'approx_percentile']) sketch, true \"close\""),
+    "rel_samples": (_samples, "SELECT method, l_returnflag, true \"close\" FROM (SELECT DISTINCT l_returnflag FROM lineitem), (SELECT unnest(['tablesample', 'sample_by']) method)"),
     "rel_recursive_cte": (_recursive, "WITH RECURSIVE r(k, depth) AS (SELECT 0, 0 UNION ALL SELECT k + 5, depth + 1 FROM r WHERE depth < 4) SELECT r.k, depth, n_name FROM r JOIN nation ON n_nationkey = r.k"),
     "rel_udtf_lattice": (_udtf, "SELECT * FROM (VALUES ('a+b', 2), ('a+c', 2), ('a+d', 2), ('b+c', 2), ('b+d', 2), ('c+d', 2), ('a+b+c', 3), ('a+b+d', 3), ('a+c+d', 3), ('b+c+d', 3), ('a+b+c+d', 4)) t(attributes, size)"),
     "rel_pricing_summary": (_q_pricing, "SELECT l_returnflag, l_linestatus, round(sum(l_quantity), 2) sum_qty, round(sum(l_extendedprice * (1 - l_discount)), 2) sum_disc, round(avg(l_discount), 6) avg_disc, count(*) n FROM lineitem WHERE l_shipdate <= TIMESTAMP '2000-09-02' GROUP BY ALL"),
