@@ -110,7 +110,8 @@ def variant_walks(spark: SparkSession, d: str) -> DataFrame:
     found = {}
     free = Q.Evaluator(graph, Q.Request(("n_name",), ("o_orderpriority",)))
     found["by_quality"] = V.quality_walk(free, start, lambda p: V.scalar_objective(free.score(p).quality, objective.strength(p.instances, free.score(p).join_rows)), 20, 5)
-    dear = free.static(start)[0]
-    bound = Q.Evaluator(graph, Q.Request(("n_name",), ("o_orderpriority",), budget=0.95 * dear), memo=free.memo)
-    found["directed"] = V.directed_walk(bound, start, 20, 5)
+    states = [start] + [V.TargetGraph.of({**dict(start.edges), e: j}, dict(start.supply)) for e, _ in start.edges for j in graph.choices(*e)]
+    prices = [free.static(p)[0] for p in states]
+    bound = Q.Evaluator(graph, Q.Request(("n_name",), ("o_orderpriority",), budget=(min(prices) + max(prices)) / 2), memo=free.memo)
+    found["directed"] = V.directed_walk(bound, states[prices.index(max(prices))], 20, 5)
     return spark.createDataFrame([(k, p.label() if p else None, round(free.score(p).corr, 9) if p else None) for k, p in found.items()], "walk string, plan string, corr double")
