@@ -46,3 +46,12 @@ def test_a_join_of_many_pairs_is_not_formed(spark):
     plan = TargetGraph.of({("a", "b"): ["k"]}, {"x": "a", "y": "b"})
     got = score_row(market, plan, ("x",), ("y",), large=True)
     assert got["join_rows"] == 200_000_000 and got["quality"] == 1.0 and got["corr"] == pytest.approx(0, abs=1e-6)
+
+
+def test_comparisons_build_the_sampled_graph_once(spark, monkeypatch):
+    built = []
+    real = workloads.G.build
+    monkeypatch.setattr(workloads.G, "build", lambda *a, **k: built.append(a[1:]) or real(*a, **k))
+    monkeypatch.setattr(workloads.report, "build", workloads.G.build)
+    assert len(workloads._three(spark, SMALL, "x1").collect()) == 6
+    assert built == [(), (0.5,)]
