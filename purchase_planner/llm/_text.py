@@ -81,10 +81,10 @@ def slices(offsets: np.ndarray, most: int = SLICE_BYTES) -> Iterator[tuple[int,
         i = min(j, n)
 
 
-def each_slice(column: pa.Array) -> Iterator[tuple[int, int, np.ndarray, np.ndarray]]:
+def each_slice(column: pa.Array, most: int = SLICE_BYTES) -> Iterator[tuple[int, int, np.ndarray, np.ndarray]]:
     """(first row, end row, bytes, offsets) of each slice of a string column."""
     data, offsets = utf8(column)
-    for i, j in slices(offsets):
+    for i, j in slices(offsets, most):
         yield i, j, data[offsets[i] : offsets[j]], offsets[i : j + 1] - offsets[i]
 
 

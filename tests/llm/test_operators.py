@@ -384,6 +384,28 @@ def test_bpe_against_the_library(spark, odd, none):
     assert all(b == (ODD[d] or "").encode() for d, b in zip(back["doc_id"], back["bytes"], strict=True))
 
 
+def test_bpe_memory_is_fixed(monkeypatch):
+    v = bpe_lookup.Vocabulary.read(queries.tokenizer_path())
+    size = lambda: sum(a.nbytes for a in (v.memo.one, v.memo.two, v.memo.count, v.memo.ids))
+    whole = size()
+    assert whole < 30e6
+    monkeypatch.setattr(bpe_lookup, "MEMO", 64)  # slots are taken over
+    v.memo, lengths = bpe_lookup.Memo(), []
+    before = size()
+    texts = [f"q{i * 7919 % 5000:x}zx{i % 91}w" + "xqz" * (i % 9) for i in range(6000)]
+    for i, j, data, offsets in tx.each_slice(pa.array(texts * 2), 1 << 14):
+        lengths.append(len(data))
+        ids, where = bpe_lookup.encode_slice(v, data, offsets)
+        back, each = v.text_bytes(ids)
+        upto = np.append(0, np.cumsum(each))[where]
+        assert [back.tobytes()[a:b].decode() for a, b in zip(upto[:-1], upto[1:], strict=True)] == (texts * 2)[i:j]
+        alone = bpe_lookup.Vocabulary.__new__(bpe_lookup.Vocabulary)
+        alone.__setstate__({**v.__getstate__()})
+        assert np.array_equal(ids, bpe_lookup.encode_slice(alone, data, offsets)[0])
+    assert max(lengths) <= 1 << 14 and size() == before
+    assert np.array_equal(np.concatenate([bpe_lookup.heap_merge(x, v.ranks) for x in (b"qzxqzx", b"zxw")]), np.concatenate([bpe_lookup.encode_slice(v, np.frombuffer(x, np.uint8), np.array([0, len(x)]))[0] for x in (b"qzxqzx", b"zxw")]))
+
+
 def test_masked_lm_by_hand(spark, odd, none):
     docs = spark.read.parquet(f"{SMALL}/documents.parquet")
     lex = masked_lm.lexicon(masked_lm.word_counts(docs))
