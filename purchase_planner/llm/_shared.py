@@ -3,9 +3,9 @@
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from ..functions.storage import Settled, folder, settle, settle_last
+from ..functions.storage import Settled, folder, pieced, settle, settle_last
 
-__all__ = ["Settled", "folder", "renamed", "settle", "settle_last", "small"]
+__all__ = ["Settled", "folder", "pieced", "renamed", "settle", "settle_last", "small"]
 #: A table of at most so many bytes is broadcast; a larger one is joined by shuffle.
 BROADCAST_BYTES = 16 << 20
 

@@ -4,7 +4,7 @@ Each round links every node to the smallest node in its surroundings; edges only
 number never grows. Before the first round every partition joins its own edges in memory and passes on one edge a node,
 so long chains and hubs mostly vanish before anything is shuffled. Hot nodes do no harm: the minimum of a node's surroundings is a combinable aggregate, and the edges
 meet it in an equi-join that adaptive execution may split. No link or component ever reaches the driver; it only
-learns whether a round left any node to do.
+learns whether a round left any node to do. Up to ONE_TASK edges are joined by one task instead, without rounds.
 """
 
 from __future__ import annotations
@@ -15,7 +15,10 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ._shared import Settled
+from ._shared import Settled, pieced
+
+#: Edges up to which one task joins all in memory (about 100 bytes a node).
+ONE_TASK = 100_000
 
 
 def _contracted(edges: DataFrame) -> DataFrame:
@@ -45,15 +48,19 @@ def _contracted(edges: DataFrame) -> DataFrame:
     return edges.mapInArrow(run, "x long, y long")
 
 
-def components(edges: DataFrame, src: str = "src", dst: str = "dst") -> DataFrame:
+def components(edges: DataFrame, src: str = "src", dst: str = "dst", size: int | None = None) -> DataFrame:
     """(node, component) for every node that occurs in an edge; component is its smallest reachable node.
 
     Self-loops count as a node without links; repeated edges and nulls in either column (ignored) do no harm; an empty
-    table gives an empty result.
+    table gives an empty result. size: the edges' bytes, roughly, if they are known.
     """
     raw = edges.select(F.col(src).cast("long").alias("x"), F.col(dst).cast("long").alias("y")).where("x is not null and y is not null")
-    raw = _contracted(raw)
-    held = Settled(raw.select(F.greatest("x", "y").alias("a"), F.least("x", "y").alias("b")).distinct())
+    raw = _contracted(pieced(raw, size))
+    held = Settled(raw.select(F.greatest("x", "y").alias("a"), F.least("x", "y").alias("b")).distinct(), size)
+    if held.df.count() <= ONE_TASK:
+        joined = Settled(_contracted(held.df.coalesce(1)).toDF("node", "component"))
+        held.drop()
+        return joined.df
     first = held
     while True:
         links = held.df.where("a <> b")
@@ -64,7 +71,7 @@ def components(edges: DataFrame, src: str = "src", dst: str = "dst") -> DataFram
         low = large.groupBy("a").agg(F.min("b").alias("m"))
         pairs = large.join(low, "a")
         small = pairs.where("b <> m").select(F.col("b").alias("a"), F.col("m").alias("b")).unionByName(low.select("a", F.col("m").alias("b"))).distinct()
-        new = Settled(small)
+        new = Settled(small, size)
         if held is not first:
             held.drop()
         held = new

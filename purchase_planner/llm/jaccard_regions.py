@@ -40,7 +40,7 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from . import _text as tx
-from ._shared import Settled, settle, settle_last
+from ._shared import Settled, pieced, settle, settle_last
 from .components import components
 
 U = np.uint64
@@ -200,7 +200,7 @@ def solve(sets: Sets, labels: np.ndarray, percent: int, rng: np.random.Generator
     return links
 
 
-def _by_group(rows: DataFrame, keys: list[str], schema: str, group: Callable[[pd.DataFrame], pd.DataFrame]) -> DataFrame:
+def _by_group(rows: DataFrame, keys: list[str], schema: str, group: Callable[[pd.DataFrame], pd.DataFrame], size: int) -> DataFrame:
     """`group` of each run of equal keys. Groups are small, so a task takes many from its sorted rows; one that goes on in the next batch waits for it."""
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
@@ -228,10 +228,11 @@ def _by_group(rows: DataFrame, keys: list[str], schema: str, group: Callable[[pd
         if held:
             yield from out(pd.concat(held))
 
-    return rows.repartition(*keys).sortWithinPartitions(*keys).mapInPandas(run, schema)
+    # partitions in one piece follow each other, so equal keys still do
+    return pieced(rows.repartition(*keys).sortWithinPartitions(*keys), size).mapInPandas(run, schema)
 
 
-def _solved(rows: DataFrame, percent: int) -> DataFrame:
+def _solved(rows: DataFrame, percent: int, size: int) -> DataFrame:
     """(src, dst) links of whole small regions."""
 
     def group(rows: pd.DataFrame) -> pd.DataFrame:
@@ -240,7 +241,7 @@ def _solved(rows: DataFrame, percent: int) -> DataFrame:
         found = solve(Sets(rows["part"].tolist()), rows["label"].to_numpy(), percent, np.random.default_rng(7))
         return pd.DataFrame({"src": ids[[a for a, _ in found]], "dst": ids[[b for _, b in found]]})
 
-    return _by_group(rows.select("region", "id", "part", "label"), ["region"], "src long, dst long", group)
+    return _by_group(rows.select("region", "id", "part", "label"), ["region"], "src long, dst long", group, size)
 
 
 def measure(pivots: pd.DataFrame, members: pd.DataFrame, percent: int) -> pd.DataFrame:
@@ -273,17 +274,17 @@ def measure(pivots: pd.DataFrame, members: pd.DataFrame, percent: int) -> pd.Dat
     return pd.DataFrame({"region": members["region"].to_numpy(), "id": members["id"].to_numpy(), "linked": links, "reach": reach, "done": [whole or i in own for i in members["id"].tolist()]})
 
 
-def _measured(dealt: DataFrame, percent: int) -> DataFrame:
+def _measured(dealt: DataFrame, percent: int, size: int) -> DataFrame:
     def group(rows: pd.DataFrame) -> pd.DataFrame:
         as_pivot = rows["as_pivot"].to_numpy()
         if as_pivot.all() or not as_pivot.any():
             return rows.iloc[:0]
         return measure(rows[as_pivot], rows[~as_pivot], percent)
 
-    return _by_group(dealt, GROUP, "region long, id long, linked array<long>, reach array<struct<d: double, p: long>>, done boolean", group)
+    return _by_group(dealt, GROUP, "region long, id long, linked array<long>, reach array<struct<d: double, p: long>>, done boolean", group, size)
 
 
-def _cut(members: DataFrame, sized: DataFrame, percent: int, first: bool) -> Settled:
+def _cut(members: DataFrame, sized: DataFrame, percent: int, first: bool, size: int) -> Settled:
     """One level over large regions: their members with links and distances to the pivots of their region.
 
     The pivots are all members outside the largest label where these are few (MOST after the first level), which ends the
@@ -302,22 +303,28 @@ def _cut(members: DataFrame, sized: DataFrame, percent: int, first: bool) -> Set
     pivots = chosen.withColumn("chunk", F.pmod(F.hash("id", F.lit(1)), F.col("chunks"))).withColumn("salt", F.explode(F.sequence(F.lit(0), F.col("salts") - 1)))
     dealt = sized.select(*columns).withColumn("salt", F.pmod(F.hash("id"), F.col("salts"))).withColumn("chunk", F.explode(F.sequence(F.lit(0), F.col("chunks") - 1)))
     last = [*GROUP, "id", "part", "label", "whole"]
-    return Settled(_measured(dealt.select(*last, F.lit(False).alias("as_pivot")).unionByName(pivots.select(*last, F.lit(True).alias("as_pivot"))), percent))
+    return Settled(_measured(dealt.select(*last, F.lit(False).alias("as_pivot")).unionByName(pivots.select(*last, F.lit(True).alias("as_pivot"))), percent, size))
 
 
-def _cells(done: DataFrame, sized: DataFrame, percent: int) -> DataFrame:
+def _cells(done: DataFrame, sized: DataFrame, percent: int, size: int) -> DataFrame:
     """(region, id) of the next level: Voronoi cells with their windows, or the region without its pivots where cells would not shrink it."""
     r = (100 - percent) / 100
     per = done.groupBy("region", "id").agg(F.flatten(F.collect_list("reach")).alias("reach"), F.max("done").alias("done")).where("not done")
     per = per.withColumn("nearest", F.coalesce(F.array_min(F.transform("reach", lambda z: z["d"])), F.lit(1.0)))
     within = F.filter("reach", lambda z: z["d"] <= F.least(F.col("nearest") + 2 * r, F.lit(RADIUS + r)) + EPS)
     inner, outer = F.transform(within, lambda z: F.xxhash64("region", z["p"])), F.array(F.xxhash64("region"))
-    held = settle(per.select("region", "id", F.when(F.col("nearest") <= RADIUS, inner).otherwise(F.concat(inner, outer)).alias("cells")))
+    held = settle(per.select("region", "id", F.when(F.col("nearest") <= RADIUS, inner).otherwise(F.concat(inner, outer)).alias("cells")), size)
     sums = held.select("region", F.explode("cells").alias("cell")).groupBy("region", "cell").agg(F.count("*").alias("k")).groupBy("region").agg(F.sum("k").alias("rows"), F.sum(F.col("k") * F.col("k")).alias("squares"))
     worth = sums.join(sized, "region").select("region", ((F.col("squares") < F.col("c") * F.col("c")) & (F.col("rows") <= 4 * F.col("c"))).alias("cut"))
     return held.join(worth, "region").select("id", F.explode(F.when(F.col("cut"), F.col("cells")).otherwise(outer)).alias("region"))
 
 
+def _bytes(sets: DataFrame) -> int:
+    """Bytes of the rows of a written table of sets, about."""
+    rows, shingles = sets.agg(F.count("*"), F.sum("n")).first()
+    return 40 * rows + 8 * (shingles or 0)
+
+
 def _links(sets: DataFrame, percent: int) -> DataFrame | None:
     """(src, dst) links that connect all linked sets; sets: written table of id, n, part.
 
@@ -326,29 +333,31 @@ def _links(sets: DataFrame, percent: int) -> DataFrame | None:
     found: DataFrame | None = None
     of = sets.select("id", "n", "part", F.col("id").alias("label"))
     first = True
-    members = Settled(regions(sets, percent).join(of, "id").select("region", "id", "n", "part", "label"))
+    size = _bytes(sets)
+    members = Settled(regions(sets, percent, size).join(of, "id").select("region", "id", "n", "part", "label"), size)
     while True:
+        size = _bytes(members.df)
         per = members.df.groupBy("region", "label").agg(F.count("*").alias("c"), F.sum("n").alias("n"))
         most = F.max(F.struct("c", "label"))
-        sized = Settled(per.groupBy("region").agg(F.sum("c").alias("c"), F.sum("n").alias("n"), most["label"].alias("largest"), most["c"].alias("held"), F.count("*").alias("labels")).where("labels > 1"))
+        sized = Settled(per.groupBy("region").agg(F.sum("c").alias("c"), F.sum("n").alias("n"), most["label"].alias("largest"), most["c"].alias("held"), F.count("*").alias("labels")).where("labels > 1"), size)
         small = (F.col("c") <= LOCAL) & (F.col("n") * 8 <= LOCAL_BYTES) | (F.col("c") <= LEAF)
         large = sized.df.where(~small)
-        solved = Settled(_solved(members.df.join(sized.df.where(small).select("region"), "region", "left_semi"), percent))
+        solved = Settled(_solved(members.df.join(sized.df.where(small).select("region"), "region", "left_semi"), percent, size))
         found = solved.df if found is None else found.unionByName(solved.df)
         if not large.limit(1).count():
             members.drop()
             return found
-        done = _cut(members.df, large, percent, first)
+        done = _cut(members.df, large, percent, first, size)
         first = False
         linked = done.df.select(F.col("id").alias("src"), F.explode("linked").alias("dst"))
         found = found.unionByName(linked)
         # labels that are linked by now, within large regions and small ones
         label = members.df.select("id", "label").distinct()
         joined = found.join(label.toDF("src", "a"), "src").join(label.toDF("dst", "b"), "dst").select("a", "b").where("a <> b")
-        of = components(joined, "a", "b")
+        of = components(joined, "a", "b", size)
         rows = members.df.select("id", "n", "part", "label").dropDuplicates(["id"])
         rows = rows.join(of, F.col("label") == F.col("node"), "left").select("id", "n", "part", F.coalesce("component", "label").alias("label"))
-        following = Settled(_cells(done.df, large, percent).join(rows, "id").select("region", "id", "n", "part", "label"))
+        following = Settled(_cells(done.df, large, percent, size).join(rows, "id").select("region", "id", "n", "part", "label"), size)
         members.drop()
         members = following
 
@@ -358,7 +367,7 @@ def _open(percent: int) -> Column:
     return F.coalesce(F.col("lone"), F.lit(0)) * 100 <= F.col("n") * (100 - percent)
 
 
-def regions(sets: DataFrame, percent: int) -> DataFrame:
+def regions(sets: DataFrame, percent: int, size: int) -> DataFrame:
     """(region, id) of the sets that share a cell of a rare shingle with another; sets: written table of id, n, part."""
     rows = _exploded(sets)
     often = rows.groupBy("s").agg(F.count("*").alias("df")).where("df > 1")
@@ -366,9 +375,9 @@ def regions(sets: DataFrame, percent: int) -> DataFrame:
     order = Window.partitionBy("id").orderBy("df", "s")
     window = F.floor(F.col("n") * (100 - percent) / 100) + 1
     ranked = rows.join(often, "s").withColumn("r", F.row_number().over(order)).withColumn("shared", F.count("*").over(Window.partitionBy("id")))
-    cells = settle(ranked.where(F.col("r") <= window - (F.col("n") - F.col("shared"))).select("s", "id"))
+    cells = settle(ranked.where(F.col("r") <= window - (F.col("n") - F.col("shared"))).select("s", "id"), size)
     hubs = cells.groupBy("s").agg(F.min("id").alias("hub"), F.count("*").alias("k")).where("k > 1").select("s", "hub")
-    of = components(cells.join(hubs, "s").where("id <> hub").select(F.col("id").alias("src"), F.col("hub").alias("dst")))
+    of = components(cells.join(hubs, "s").where("id <> hub").select(F.col("id").alias("src"), F.col("hub").alias("dst")), size=size)
     return of.select(F.col("component").alias("region"), F.col("node").alias("id"))
 
 
@@ -381,28 +390,30 @@ def groups(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", word
     # a class is named by f1, 64 bits of its set; its representative is the smallest id, a null one coming last
     last = F.lit((1 << 63) - 1)
     rows = base.df.where("n > 0").withColumn("at", F.coalesce("id", last))
-    classes = settle(rows.groupBy(*keys).agg(F.min("at").alias("rep"), F.count("*").alias("copies")))
+    all_rows, shingles = base.df.agg(F.count("*"), F.sum("n")).first()
+    few = 40 * all_rows  # bytes of a table of a few numbers a row
+    classes = settle(rows.groupBy(*keys).agg(F.min("at").alias("rep"), F.count("*").alias("copies")), few)
     named = classes.select(F.col("rep").alias("at"), F.col("f1").alias("id"))
     firsts = Settled(rows.select("at", F.col("f1").alias("id"), "n", "part").join(_few(named), ["at", "id"], "left_semi").select("id", "n", "part"))
     firsts = _single(firsts, classes)
     # representatives with more lone shingles than a link allows are done
-    suspects = settle(firsts.join(_lone(firsts), "id", "left").where(_open(percent)).select("id").join(classes.select(F.col("f1").alias("id"), "rep"), "id"))
+    suspects = settle(firsts.join(_lone(firsts), "id", "left").where(_open(percent)).select("id").join(classes.select(F.col("f1").alias("id"), "rep"), "id"), few + int(8 * share * (shingles or 0)))
     where = F.coalesce(F.col(id_col).cast("long"), last)
     again = docs.withColumn("__id", where).join(_few(suspects.select(F.col("rep").alias("__id")).distinct()), "__id", "left_semi")
     sets = _table(again, "__id", text_col, words, None).where("n > 0").select(F.col("f1").alias("id"), "n", "part")
     sets = _single(Settled(sets.join(_few(suspects.select("id")), "id", "left_semi")), suspects)
     # the same count over all shingles of the suspects
-    rest = settle(sets.join(_lone(sets), "id", "left").where(_open(percent)).select("id", "n", "part"))
+    rest = settle(sets.join(_lone(sets), "id", "left").where(_open(percent)).select("id", "n", "part"), _bytes(sets))
     links = _links(rest, percent)
     label = F.col("rep")
     named = classes
     if links is not None:
-        linked = components(links)
+        linked = components(links, size=few)
         named = classes.join(linked, F.col("f1") == F.col("node"), "left")
         least = named.where("component is not null").groupBy("component").agg(F.min("rep").alias("least"))
         named = named.join(least, "component", "left")
         label = F.coalesce("least", "rep")
-    of_class = settle(named.select(*keys, F.nullif(label, last).alias("component_id")))
+    of_class = settle(named.select(*keys, F.nullif(label, last).alias("component_id")), few)
     out = base.df.select("id", *keys).join(of_class, keys, "left")
     return out.select(F.col("id").alias(id_col), F.col("n").alias("n_shingles"), F.coalesce("component_id", "id").alias("component_id"))
 
