@@ -355,7 +355,8 @@ def _links(sets: DataFrame, percent: int) -> DataFrame | None:
         label = members.df.select("id", "label").distinct()
         joined = found.join(label.toDF("src", "a"), "src").join(label.toDF("dst", "b"), "dst").select("a", "b").where("a <> b")
         of = components(joined, "a", "b", size)
-        rows = members.df.select("id", "n", "part", "label").dropDuplicates(["id"])
+        # small regions are done: their sets go no further
+        rows = members.df.join(large.select("region"), "region", "left_semi").select("id", "n", "part", "label").dropDuplicates(["id"])
         rows = rows.join(of, F.col("label") == F.col("node"), "left").select("id", "n", "part", F.coalesce("component", "label").alias("label"))
         following = Settled(_cells(done.df, large, percent, size).join(rows, "id").select("region", "id", "n", "part", "label"), size)
         members.drop()
